@@ -6,14 +6,17 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from . import decontaminate, sentencepiece_bpe
 from .simhash import near_duplicates
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op3_simhash": near_duplicates,
+        "op4_decontaminate": decontaminate.decontamination,
+        "op5_sentencepiece": sentencepiece_bpe.encoding,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op4_decontaminate": decontaminate.SQL}
