@@ -6,12 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontaminate, sentencepiece_bpe
+from . import decontaminate, histogram_shards, sentencepiece_bpe
 from .simhash import near_duplicates
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_histogram_shards": histogram_shards.sharded,
         "op3_simhash": near_duplicates,
         "op4_decontaminate": decontaminate.decontamination,
         "op5_sentencepiece": sentencepiece_bpe.encoding,
