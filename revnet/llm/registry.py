@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontaminate, histogram_shards, sentencepiece_bpe
+from . import decontaminate, histogram_shards, sentencepiece_bpe, toxicity_cnn
 from .simhash import near_duplicates
 
 
@@ -16,6 +16,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op3_simhash": near_duplicates,
         "op4_decontaminate": decontaminate.decontamination,
         "op5_sentencepiece": sentencepiece_bpe.encoding,
+        "op10_toxicity": toxicity_cnn.toxicity,
     }
 
 
