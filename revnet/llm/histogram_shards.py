@@ -9,6 +9,7 @@ first 32 bits never part equal texts; larger groups of equal texts are parted by
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -78,7 +79,9 @@ def find_splitters(keys: DataFrame, shards: int, tiles: int = 1, tolerance: floa
 
 
 def range_of(key: Column, splitters: np.ndarray) -> Column:
-    """Number of splitters <= key, by a balanced tree of comparisons in generated code."""
+    """Number of splitters <= key: a balanced tree of comparisons, or a binary search in Arrow batches if there are many."""
+    if len(splitters) > 255:
+        return F.pandas_udf(lambda k: pd.Series(np.searchsorted(splitters, k.to_numpy(), side="right").astype(np.int32)), "int")(key)
 
     def node(a: int, z: int) -> Column:
         if a == z:
@@ -89,20 +92,20 @@ def range_of(key: Column, splitters: np.ndarray) -> Column:
     return node(0, len(splitters))
 
 
-def histogram_shards(docs: DataFrame, shards: int = 24, id_col: str = "doc_id", text_col: str = "text", tolerance: float = 0.002, tile_bytes: int = 128 << 20) -> DataFrame:
+def histogram_shards(docs: DataFrame, shards: int = 24, id_col: str = "doc_id", text_col: str = "text", tolerance: float = 0.002, tile_bytes: int = 16 << 20, max_tiles: int = 2048) -> DataFrame:
     """All rows and columns of ``docs`` with ``size``, ``shard`` and ``slot`` (gapless from 0 in each shard).
 
     Size is the text's UTF-8 bytes (null: none) plus 8. Shards are ranges of the sort key of nearly
     equal bytes; equal texts stay together unless their group is larger than the tolerance allows.
     Ties (repeated rows) are in any order; an empty table gives an empty result. Columns named
-    size, shard or slot are replaced. Each shard is sorted in tiles of about ``tile_bytes``, whose
-    row counts give the first slots, so that no task ever holds a whole shard.
+    size, shard or slot are replaced. Each shard is sorted in tiles of about ``tile_bytes`` (larger
+    ones where more than ``max_tiles`` would be needed), whose row counts give the first slots, so that no task ever holds a whole shard.
     """
     size = F.coalesce(F.octet_length(text_col), F.lit(0)).cast("long") + OVERHEAD
     key = sort_key(F.col(id_col), F.col(text_col))
     keys = materialize(docs.select(key.alias("key"), size.alias("size")), "shard-keys")
     total = keys.agg(F.sum("size").alias("s")).first().s or 0
-    tiles = max(1, -(-total // (shards * tile_bytes)))
+    tiles = min(max_tiles, max(1, -(-total // (shards * tile_bytes))))
     splitters, _ = find_splitters(keys, shards, tiles, tolerance)
     rows = dict(keys.groupBy(range_of(F.col("key"), splitters).alias("t")).agg(F.count(F.lit(1)).alias("n")).toPandas().itertuples(index=False))
     counts = np.array([rows.get(t, 0) for t in range(shards * tiles)]).reshape(shards, tiles)
