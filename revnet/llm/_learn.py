@@ -45,7 +45,7 @@ def sigmoid(z: np.ndarray) -> np.ndarray:
     return 1 / (1 + np.exp(-np.clip(z, -40, 40)))
 
 
-def fit_logistic(x: np.ndarray, y: np.ndarray, weight: np.ndarray | None = None, l2: float = 1e-3, steps: int = 300, rate: float = 0.05) -> tuple[np.ndarray, float]:
+def fit_logistic(x: np.ndarray, y: np.ndarray, weight: np.ndarray | None = None, l2: float = 1e-3, steps: int = 200, rate: float = 0.05) -> tuple[np.ndarray, float]:
     """Weights and bias of a logistic regression by full-batch Adam."""
     w = np.ones(len(y), np.float32) if weight is None else weight
     w = w / max(w.sum(), 1e-9)

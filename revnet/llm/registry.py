@@ -6,13 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontaminate, histogram_shards, sentencepiece_bpe, toxicity_cnn
+from . import cotraining, decontaminate, histogram_shards, sentencepiece_bpe, toxicity_cnn
 from .simhash import near_duplicates
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_histogram_shards": histogram_shards.sharded,
+        "op2_cotraining": cotraining.quality,
         "op3_simhash": near_duplicates,
         "op4_decontaminate": decontaminate.decontamination,
         "op5_sentencepiece": sentencepiece_bpe.encoding,

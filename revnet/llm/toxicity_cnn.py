@@ -12,7 +12,7 @@ from collections import Counter, defaultdict
 from collections.abc import Iterator
 
 import numpy as np
-import pyarrow as pa
+import pandas as pd
 import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -196,6 +196,21 @@ def fit(docs: DataFrame, labels: DataFrame, use: Column, max_rows: int = 6000, m
     return train(texts, pdf["_label"].to_numpy(np.float64), langs)
 
 
+def score_column(spark, model: Cnn, cut: float = 0.3, text_col: str = "text", lang_col: str = "lang") -> Column:
+    """Struct of score, predicted, threshold and flagged; the model's size is bound by its training sample."""
+    sent = spark.sparkContext.broadcast(model)
+
+    def run(batches: Iterator[tuple[pd.Series, pd.Series]]) -> Iterator[pd.DataFrame]:
+        m = sent.value
+        for text, lang in batches:
+            s = np.fromiter(map(m.score, text), np.float64, len(text))
+            th = np.fromiter((m.thresholds.get(x or "", m.thresholds[""]) for x in lang), np.float64, len(lang))
+            yield pd.DataFrame({"score": s, "predicted": (s >= cut).astype(np.int32), "threshold": th, "flagged": s >= th})
+
+    udf = F.pandas_udf(run, "score double, predicted int, threshold double, flagged boolean")
+    return udf(F.col(text_col), F.col(lang_col).cast("string"))
+
+
 def classify(docs: DataFrame, model: Cnn, cut: float = 0.3, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:
     """``(id_col, score, predicted, threshold, flagged)`` for every row's whole text.
 
@@ -203,18 +218,7 @@ def classify(docs: DataFrame, model: Cnn, cut: float = 0.3, id_col: str = "doc_i
     calibrated one of the row's language (unknown or null language: of all) and ``flagged`` applies
     it. Null, empty and wordless texts get the score of no words. Repeated rows repeat.
     """
-    sent = docs.sparkSession.sparkContext.broadcast(model)  # its size is bound by the training sample
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        m = sent.value
-        for b in batches:
-            s = np.array([m.score(t) for t in b.column(1).to_pylist()], np.float64)
-            th = np.array([m.thresholds.get(x or "", m.thresholds[""]) for x in b.column(2).to_pylist()], np.float64)
-            cols = [b.column(0), pa.array(s), pa.array((s >= cut).astype(np.int32)), pa.array(th), pa.array(s >= th)]
-            yield pa.RecordBatch.from_arrays(cols, names=["id", "score", "predicted", "threshold", "flagged"])
-
-    slim = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("t"), F.col(lang_col).alias("l"))
-    return slim.mapInArrow(run, "id long, score double, predicted int, threshold double, flagged boolean").withColumnRenamed("id", id_col)
+    return docs.select(F.col(id_col), score_column(docs.sparkSession, model, cut, text_col, lang_col).alias("_s")).select(id_col, "_s.*")
 
 
 def learned_rows(id_col: str = "_id") -> Column:
