@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import cotraining, decontaminate, histogram_shards, sentencepiece_bpe, toxicity_cnn
+from . import cotraining, decontaminate, histogram_shards, licences, sentencepiece_bpe, site_style_tree, toxicity_cnn
 from .simhash import near_duplicates
 
 
@@ -17,9 +17,11 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op3_simhash": near_duplicates,
         "op4_decontaminate": decontaminate.decontamination,
         "op5_sentencepiece": sentencepiece_bpe.encoding,
+        "op7_licences": licences.licence_scan,
+        "op9_site_style_tree": site_style_tree.main_texts,
         "op10_toxicity": toxicity_cnn.toxicity,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_decontaminate": decontaminate.SQL}
+    return {"op4_decontaminate": decontaminate.SQL, "op7_licences": licences.sql()}
