@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import cotraining, decontaminate, histogram_shards, licences, sentencepiece_bpe, site_style_tree, toxicity_cnn, vector_graph
+from . import cotraining, decontaminate, histogram_shards, licences, ngram_lm, sentencepiece_bpe, site_style_tree, toxicity_cnn, vector_graph
 from .simhash import near_duplicates
 
 
@@ -19,6 +19,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op5_sentencepiece": sentencepiece_bpe.encoding,
         "op6_vector_graph": vector_graph.vector_duplicates,
         "op7_licences": licences.licence_scan,
+        "op8_ngram_lm": ngram_lm.lm_scores,
         "op9_site_style_tree": site_style_tree.main_texts,
         "op10_toxicity": toxicity_cnn.toxicity,
     }
