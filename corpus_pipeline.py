@@ -32,13 +32,13 @@ def _without(docs: DataFrame, rejected: DataFrame) -> DataFrame:
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keep documents that the co-trained classifier takes for good ones."""
     model = cotraining.fit(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"), cotraining.learned_rows())
-    return docs.withColumn("_s", cotraining.score_column(spark, model)).where("_s.keep").select(docs.columns)
+    return cotraining.scored(docs, model, prefix="_stage_").where("_stage_keep").select(docs.columns)
 
 
 def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keep documents below the toxicity cut."""
     model = toxicity_cnn.fit(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"), toxicity_cnn.learned_rows())
-    return docs.withColumn("_s", toxicity_cnn.score_column(spark, model)).where("_s.predicted = 0").select(docs.columns)
+    return toxicity_cnn.scored(docs, model, prefix="_stage_").where("_stage_predicted = 0").select(docs.columns)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

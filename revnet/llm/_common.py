@@ -4,9 +4,12 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
 
-from pyspark.sql import DataFrame, SparkSession
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 _CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
@@ -48,6 +51,29 @@ def discard(df: DataFrame) -> None:
         jpath.getFileSystem(spark._jsc.hadoopConfiguration()).delete(jpath, True)
 
 
+def append_columns(docs: DataFrame, inputs: list[Column], fn: Callable[[], Callable[..., dict[str, pa.Array]]], schema: str, keep: list[str] | None = None, rows: int = 256) -> DataFrame:
+    """``docs`` (or its columns ``keep``) with columns that Python computes from the ``inputs`` of each row.
+
+    ``fn`` makes, once per task, a function of lists of input values that returns the new columns.
+    Rows pass in slices of at most ``rows``, so that few Python objects are alive at a time.
+    """
+    keep = docs.columns if keep is None else keep
+    n = len(inputs)
+    slim = docs.select(*keep, *(c.alias(f"_in{i}") for i, c in enumerate(inputs)))
+    out = StructType([*(slim.schema[c] for c in keep), *StructType.fromDDL(schema)])
+    names = out.fieldNames()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        work = fn()
+        for b in batches:
+            for at in range(0, b.num_rows, rows):
+                s = b.slice(at, rows)
+                new = work(*(s.column(len(keep) + i).to_pylist() for i in range(n)))
+                yield pa.RecordBatch.from_arrays([*(s.column(i) for i in range(len(keep))), *(new[x] for x in names[len(keep) :])], names=names)
+
+    return slim.mapInArrow(run, out)
+
+
 def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """Smallest node reachable from each node of ``edges(u, v)``: returns ``(node, component)``.
 

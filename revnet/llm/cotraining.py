@@ -13,10 +13,12 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ._common import append_columns
 from ._learn import fit_calibration, fit_logistic, fold, labelled_sample, sigmoid
 
 HASHED = 512
@@ -77,7 +79,7 @@ def content_features(text: str | None, known: dict[str, int]) -> np.ndarray:
             i = known[w] = xxhash.xxh32_intdigest(w.lower()) % HASHED
         idx.append(i)
     x[DENSE:] = np.bincount(idx, minlength=HASHED) / len(distinct) ** 0.5 / 8
-    if len(known) > 300_000:
+    if len(known) > 150_000:
         known.clear()
     return x
 
@@ -189,33 +191,33 @@ def _featured(rows: DataFrame) -> DataFrame:
     return rows.mapInPandas(run, "_id long, _label int, c binary, m binary")
 
 
-def score_column(spark, model: CoTrained, cut: float = 0.5, text_col: str = "text") -> Column:
-    """Struct of content_score, metadata_score, score and keep, for frames with the columns of documents."""
-    sent = spark.sparkContext.broadcast(model)
+def scored(docs: DataFrame, model: CoTrained, cut: float = 0.5, text_col: str = "text", keep: list[str] | None = None, prefix: str = "") -> DataFrame:
+    """``docs`` (or its columns ``keep``) with content_score, metadata_score, score and keep, named after ``prefix``.
 
-    def run(batches: Iterator[tuple[pd.Series, ...]]) -> Iterator[pd.DataFrame]:
+    Scores are calibrated probabilities of quality 1; ``keep`` holds from ``cut`` on. Null or empty
+    texts and null metadata are features of their own. Repeated rows repeat.
+    """
+    sent = docs.sparkSession.sparkContext.broadcast(model)
+
+    def make():
         model, known = sent.value, {}
-        for text, lang, source, n_chars in batches:
-            parts = [np.zeros((3, 0))]
-            for at in range(0, len(text), 512):
-                s = slice(at, at + 512)
-                c = np.stack([content_features(t, known) for t in text[s]])
-                m = np.stack([metadata_features(*x) for x in zip(lang[s], source[s], n_chars[s], strict=True)])
-                parts.append(np.stack(model.score(c, m)))
-            pc, pm, p = np.concatenate(parts, 1).astype(np.float64)
-            yield pd.DataFrame({"content_score": pc, "metadata_score": pm, "score": p, "keep": p >= cut})
 
-    udf = F.pandas_udf(run, "content_score double, metadata_score double, score double, keep boolean")
-    return udf(F.col(text_col), F.col("lang").cast("string"), F.col("source").cast("string"), F.col("n_chars").cast("double"))
+        def work(text, lang, source, n_chars):
+            c = np.stack([content_features(t, known) for t in text])
+            m = np.stack([metadata_features(*x) for x in zip(lang, source, n_chars, strict=True)])
+            pc, pm, p = (np.asarray(x, np.float64) for x in model.score(c, m))
+            got = {"content_score": pa.array(pc), "metadata_score": pa.array(pm), "score": pa.array(p), "keep": pa.array(p >= cut)}
+            return {prefix + k: v for k, v in got.items()}
 
+        return work
 
-def classify(docs: DataFrame, model: CoTrained, cut: float = 0.5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``(id_col, content_score, metadata_score, score, keep)`` for every row's whole text and metadata.
+    inputs = [F.col(text_col), F.col("lang").cast("string"), F.col("source").cast("string"), F.col("n_chars").cast("double")]
+    return append_columns(docs, inputs, make, ", ".join(f"{prefix}{x}" for x in ("content_score double", "metadata_score double", "score double", "keep boolean")), keep)
 
-    Scores are calibrated probabilities of quality 1; ``keep`` holds from ``cut`` on. Null or empty
-    texts and null metadata are features of their own. Repeated rows repeat; other columns are ignored.
-    """
-    return docs.select(F.col(id_col), score_column(docs.sparkSession, model, cut, text_col).alias("_s")).select(id_col, "_s.*")
+
+def classify(docs: DataFrame, model: CoTrained, cut: float = 0.5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``(id_col, content_score, metadata_score, score, keep)`` of every row's whole text and metadata; see ``scored``."""
+    return scored(docs, model, cut, text_col, [id_col])
 
 
 def learned_rows(id_col: str = "_id") -> Column:

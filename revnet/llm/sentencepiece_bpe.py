@@ -235,7 +235,7 @@ def default_model() -> str:
     return public_tokenizers.path("piece_bpe_32k.model")
 
 
-def encode_documents(docs: DataFrame, model: str | None = None, id_col: str = "doc_id", text_col: str = "text", outputs: tuple[str, ...] = ("ids", "decoded"), store: int = 800_000) -> DataFrame:
+def encode_documents(docs: DataFrame, model: str | None = None, id_col: str = "doc_id", text_col: str = "text", outputs: tuple[str, ...] = ("ids", "decoded"), store: int = 400_000) -> DataFrame:
     """Token ids and decoded text of each row: ``(id_col, n_tokens, ...)`` with the asked outputs.
 
     ``outputs`` may hold ``ids`` (array), ``decoded`` (string), ``ids_sha256`` and ``decoded_sha256``
@@ -249,7 +249,7 @@ def encode_documents(docs: DataFrame, model: str | None = None, id_col: str = "d
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = _loaded(model or default_model())
         bpe.store = store
-        for b in batches:
+        for b in (whole.slice(at, 256) for whole in batches for at in range(0, whole.num_rows, 256)):
             n, cols = [], {k: [] for k in outputs}
             for t in b.column(1).to_pylist():
                 joined, text = bpe.encode_joined(t or "")
