@@ -136,8 +136,8 @@ def moving_objects(spark: SparkSession, sf_dir: str, net: RoadNetwork, kind: str
     """``(m, eid, off)`` of orders, events or lineitem rows; updates also have ``ts`` and ``event_id``."""
     n = n or net.vertices.count()
     if kind == "lineitem":
-        src = table(spark, sf_dir, "lineitem").selectExpr("*", "row_number() over (order by l_orderkey, l_linenumber, l_extendedprice, l_partkey, l_suppkey) - 1 as m")
-        rows = src.selectExpr("cast(m as long) as m", f"(m * 48271) % {n} as a", f"m div {n} as p", "cast(round(l_extendedprice * 100) as long) as z")
+        src = table(spark, sf_dir, "lineitem").selectExpr("*", "cast(row_number() over (order by l_orderkey, l_linenumber, l_extendedprice, l_partkey, l_suppkey) - 1 as long) as m")
+        rows = src.selectExpr("m", f"(m * 48271) % {n} as a", f"m div {n} as p", "cast(round(l_extendedprice * 100) as long) as z")
     else:
         source, m, anchor, pos, z = _OBJECTS[kind]
         extra = ["cast(ts as timestamp) as ts", "cast(event_id as long) as event_id"] if kind == "updates" else []
