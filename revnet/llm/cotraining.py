@@ -167,7 +167,7 @@ def fit(docs: DataFrame, labels: DataFrame, use: Column | None = None, max_rows:
     picked = ids.orderBy(F.xxhash64(F.lit("pool"), "_id"), "_id").limit(pool_rows)
     small = docs.where(F.coalesce(F.octet_length(text_col), F.lit(0)) <= max_bytes)
     pool = small.join(F.broadcast(picked), small[id_col] == picked["_id"]).select("_id", F.lit(-1).alias("_label"), *cols)
-    pdf = _featured(lab.unionByName(pool)).toPandas().sort_values(["_id"], kind="stable")
+    pdf = _featured(lab.unionByName(pool)).toArrow().to_pandas().sort_values(["_id"], kind="stable")
     c = np.stack([np.frombuffer(x, np.float32) for x in pdf["c"]]) if len(pdf) else np.zeros((0, DENSE + HASHED), np.float32)
     m = np.stack([np.frombuffer(x, np.float32) for x in pdf["m"]]) if len(pdf) else np.zeros((0, _META), np.float32)
     y = pdf["_label"].to_numpy(np.int64)

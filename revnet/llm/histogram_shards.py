@@ -36,7 +36,7 @@ def find_splitters(keys: DataFrame, shards: int, tiles: int = 1, tolerance: floa
     """
     parts = shards * tiles
     first = max(12, int(np.ceil(np.log2(8 * parts))))
-    got = keys.groupBy(F.shiftright("key", KEY_BITS - first).alias("b")).agg(F.sum("size").alias("bytes")).toPandas().sort_values("b")
+    got = keys.groupBy(F.shiftright("key", KEY_BITS - first).alias("b")).agg(F.sum("size").alias("bytes")).toArrow().to_pandas().sort_values("b")
     total = int(got["bytes"].sum())
     target = total * np.arange(1, parts) / parts
     border = np.arange(1, parts) % tiles == 0
@@ -73,7 +73,7 @@ def find_splitters(keys: DataFrame, shards: int, tiles: int = 1, tolerance: floa
         wanted = [int(x) for x in np.unique(prefix[left])]
         got = (
             keys.where(F.shiftright("key", shift).isin(wanted))
-            .groupBy(F.shiftright("key", shift - bits).alias("b")).agg(F.sum("size").alias("bytes")).toPandas().sort_values("b")
+            .groupBy(F.shiftright("key", shift - bits).alias("b")).agg(F.sum("size").alias("bytes")).toArrow().to_pandas().sort_values("b")
         )
     return np.maximum.accumulate(lo_key), log
 
@@ -107,7 +107,7 @@ def histogram_shards(docs: DataFrame, shards: int = 24, id_col: str = "doc_id",
     total = keys.agg(F.sum("size").alias("s")).first().s or 0
     tiles = min(max_tiles, max(1, -(-total // (shards * tile_bytes))))
     splitters, _ = find_splitters(keys, shards, tiles, tolerance)
-    rows = dict(keys.groupBy(range_of(F.col("key"), splitters).alias("t")).agg(F.count(F.lit(1)).alias("n")).toPandas().itertuples(index=False))
+    rows = dict(keys.groupBy(range_of(F.col("key"), splitters).alias("t")).agg(F.count(F.lit(1)).alias("n")).toArrow().to_pandas().itertuples(index=False))
     counts = np.array([rows.get(t, 0) for t in range(shards * tiles)]).reshape(shards, tiles)
     first = (np.cumsum(counts, 1) - counts).ravel()
     tile = range_of(F.col("_key"), splitters)

@@ -201,7 +201,7 @@ def make_plan(fps: DataFrame, distance: int, parts: int | None = None) -> Plan |
                 n += len(x)
         yield pd.DataFrame({"k": np.arange(BITS * BITS + 1), "c": np.append(both.ravel(), n).astype(np.int64)})
 
-    got = fps.select("fp").mapInPandas(pair_counts, "k int, c long").groupBy("k").agg(F.sum("c").alias("c")).toPandas().sort_values("k")
+    got = fps.select("fp").mapInPandas(pair_counts, "k int, c long").groupBy("k").agg(F.sum("c").alias("c")).toArrow().to_pandas().sort_values("k")
     if got.empty or int(got.c.iloc[-1]) == 0:
         return None
     n, both = int(got.c.iloc[-1]), got.c.to_numpy(float)[:-1].reshape(BITS, BITS)
@@ -217,7 +217,7 @@ def make_plan(fps: DataFrame, distance: int, parts: int | None = None) -> Plan |
             k = np.flatnonzero(h)
             yield pd.DataFrame({"part": np.full(len(k), i), "k": k, "c": h[k]})
 
-    got = fps.select("fp").mapInPandas(values, "part int, k long, c long").groupBy("part", "k").agg(F.sum("c").alias("c")).toPandas()
+    got = fps.select("fp").mapInPandas(values, "part int, k long, c long").groupBy("part", "k").agg(F.sum("c").alias("c")).toArrow().to_pandas()
     hist = []
     for i, g in enumerate(groups):
         h = np.zeros(1 << min(len(g), Plan.FOLD))

@@ -215,7 +215,7 @@ def best_threshold(p: np.ndarray, y: np.ndarray) -> float:
 def fit(docs: DataFrame, labels: DataFrame, use: Column, max_rows: int = 6000, max_bytes: int = 400_000, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", label_col: str = "toxic") -> Cnn:
     """Fit on at most ``max_rows`` labelled rows for which ``use`` (of ``_id``) holds."""
     pdf = labelled_sample(docs, labels, label_col, [F.col(text_col).alias("_text"), F.col(lang_col).alias("_lang")], use, max_rows, max_bytes, id_col, text_col)
-    pdf = pdf.toPandas().sort_values("_id", kind="stable")
+    pdf = pdf.toArrow().to_pandas().sort_values("_id", kind="stable")
     langs = [x if isinstance(x, str) else None for x in pdf["_lang"]]
     texts = [x if isinstance(x, str) else None for x in pdf["_text"]]
     return train(texts, pdf["_label"].to_numpy(np.float64), langs)

@@ -158,7 +158,7 @@ def near_vectors(vectors: DataFrame, cosine: float = 0.9, id_col: str = "vec_id"
     n = slim.count()
     shards = max(1, -(-n // shard_rows))
     picked = slim.select("id").orderBy(F.xxhash64("id"), "id").limit(sample_rows)
-    s, good = unit_rows(slim.join(F.broadcast(picked), "id", "left_semi").toPandas().sort_values("id")["v"].tolist() if n else [])
+    s, good = unit_rows(slim.join(F.broadcast(picked), "id", "left_semi").toArrow().to_pandas().sort_values("id")["v"].tolist() if n else [])
     if not good.any():
         return vectors.select(id_col, F.lit(0).cast("long").alias("n_links"), F.col(id_col).cast("long").alias("component_id"), F.lit(True).alias("kept")).where(F.col(id_col).isNotNull())
     centre = spark.sparkContext.broadcast(centroids(s[good], min(shards, int(good.sum()) // 8 + 1)))
