@@ -13,4 +13,4 @@ os.environ["PYTHONPATH"] = os.pathsep.join(x for x in (str(ROOT), os.environ.get
 def spark():
     from revnet.session import local_session
 
-    return local_session()
+    return local_session("4", 2)
