@@ -48,11 +48,11 @@ def test_bucketed_arcs(spark):
 
 def test_waves_cover_the_batch(spark):
     s = Setting(spark, SF)
-    got = waves(s.sites, s.net.vertices, 3)
-    assert got.count() == s.sites.count() and got.select("wave").distinct().count() == 3
+    got = waves(s.sites, s.net.vertices, 2)
+    assert got.count() == s.sites.count() and got.select("wave").distinct().count() == 2
     whole = s.batch(RknnOptions(k=3, plan="flood")).select("q", "m")
     parts = None
-    for w in range(3):
+    for w in range(2):
         part = batch_rknn(s.net, s.facilities, got.where(f"wave = {w}"), s.objects, RknnOptions(k=3, plan="flood")).select("q", "m")
         parts = part if parts is None else parts.unionByName(part)
     assert same_answers(parts, whole)
@@ -61,7 +61,7 @@ def test_waves_cover_the_batch(spark):
 def test_tiles_equal_flood(spark):
     s = Setting(spark, SF)
     want = vertex_knn(s.net, s.facilities, 4)
-    for side in (3000, 100_000):
+    for side in (6000,):
         assert same_answers(tile_knn(s.net, grid_cells(s.net, side), s.facilities, 4).select("v", "f", "d", "rk"), want)
 
 
