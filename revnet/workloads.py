@@ -19,6 +19,7 @@ from .operators.distance import located, network_distance
 from .operators.flood import object_knn, vertex_knn
 from .operators.regions import influence_region, safe_slack
 from .operators.snapshot import order_assignment, shortage, snapshot
+from .operators.tiles import tile_knn
 from .plans.options import FAITHFUL, RknnOptions
 from .plans.storage import stored
 from .sources import tables as T
@@ -295,6 +296,16 @@ def radius_limited(spark, d):
     return _answers(s.batch(o)).where("net_dist <= 2500")
 
 
+def hop_limited(spark, d):
+    s = Setting(spark, d)
+    return _answers(s.batch(RknnOptions(plan="expand", max_hops=3)))
+
+
+def tile_knn_k10(spark, d):
+    s = Setting(spark, d)
+    return tile_knn(s.net, B.grid_cells(s.net, 12000), s.facilities, 10).select("v", "f", "d", F.col("rk").cast("int").alias("rk"))
+
+
 def monochromatic_rknn(spark, d):
     s = Setting(spark, d)
     return monochromatic(s.net, s.facilities, s.sites, 5)
@@ -335,7 +346,7 @@ def queries() -> dict[str, Query]:
         batch_rknn_default, batch_rknn_expand, batch_rknn_region, batch_rknn_ties, batch_rknn_pairs, batch_size_sweep, k_sweep, k_sweep_large, object_count_sweep,
         obo_vs_shared_counts, obo_vs_shared_clustered, ablation_quick_verify, ablation_mbr_mbc, ablation_rules, batch_clustered, networks_compare, facility_density,
         baseline_naive, baseline_hub, baseline_eager, baseline_influence, baseline_safe_slack, baseline_voronoi, baseline_shortcuts, range_count_circles,
-        radius_limited, monochromatic_rknn, shortage_report, snapshot_rknn, example_delivery, example_prune,
+        radius_limited, hop_limited, tile_knn_k10, monochromatic_rknn, shortage_report, snapshot_rknn, example_delivery, example_prune,
     )}
     out["order_assignment"] = assignment
     out["batch_rknn_faithful"] = partial(batch_rknn_expand, options=FAITHFUL)
@@ -381,6 +392,7 @@ def oracle_sql() -> dict[str, str]:
             FROM objects JOIN edges e USING (eid) JOIN vertices a ON a.v = e.u JOIN vertices b ON b.v = e.v""",
         "sssp_from_sites": sssp,
         "vertex_knn_k10": f"{O.prefix()} SELECT v, f, d, CAST(rk AS INTEGER) AS rk FROM (SELECT *, {vk} AS rk FROM dist) WHERE rk <= 10",
+        "tile_knn_k10": f"{O.prefix()} SELECT v, f, d, CAST(rk AS INTEGER) AS rk FROM (SELECT *, {vk} AS rk FROM dist) WHERE rk <= 10",
         "object_knn_k10": f"{O.prefix()} SELECT m, f, d, rk FROM knn",
         "rknn_single": f"{O.prefix()} SELECT f AS q, m, d AS net_dist, rk FROM knn WHERE f = 0",
         "batch_rknn_default": _PLAIN, "batch_rknn_expand": _PLAIN, "batch_rknn_region": _PLAIN, "batch_rknn_faithful": _PLAIN,
