@@ -31,18 +31,18 @@ class BatchRun:
 
 def run_batch(
     net: RoadNetwork, facilities: DataFrame, queries: DataFrame, objects: DataFrame, options: RknnOptions | None = None,
-    tree: CountTree | None = None, vertex_labels: DataFrame | None = None, validate: bool = False, admissibility: float = 1.0,
+    tree: CountTree | None = None, vertex_labels: DataFrame | None = None, validate: bool = False, admissibility: float | None = None,
 ) -> BatchRun:
     """Answer a batch; every plan and option gives the same answers.
 
     Repeated queries count once, an empty batch or no objects give an empty result, objects that
     reach fewer than k facilities count all of them. ``tree`` and ``vertex_labels`` may be handed in
-    where several batches share the facilities.
+    where several batches share the facilities, ``admissibility`` where it is known (else one small
+    aggregate finds it, as the circle test needs it on networks with roads shorter than straight lines).
     """
     o = options or RknnOptions()
     if validate:
         validate_inputs(net, facilities, queries, objects)
-        admissibility = net.admissibility()
     queries = queries.select("q").distinct()
     plan = o.plan
     if plan == "auto":
@@ -68,6 +68,8 @@ def _expand(net, facilities, queries, objects, o: RknnOptions, tree, vertex_labe
     if o.max_radius is not None:
         cand = cand.where(F.col("d_ub") <= o.max_radius)
     if o.quick:
+        if admissibility is None:
+            admissibility = net.admissibility()
         tree = tree or build_count_tree(facilities, o.tree_fanout, o.leaf_size)
         cand = stored(quick_verify(cand, objects, net, tree, o.k, o.bound, o.count_mode, admissibility), "verdicts")
     else:
