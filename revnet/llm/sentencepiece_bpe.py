@@ -56,7 +56,7 @@ class Bpe:
         self.plain = set(self.id.values())
         self.spaced = [p.replace(SPACE, " ") for p in self.pieces]
         self.outside = re.compile("[^" + "".join(re.escape(p) for p in self.id if len(p) == 1) + "]")
-        self.store = 800_000
+        self.store = 300_000
         self.runs: dict[str, list[int]] = {}
         self.words: dict[str, str] = {}
         self.changed: set[str] = set()  # words in `words` that do not decode to themselves
@@ -80,7 +80,7 @@ class Bpe:
         key = a << 20 | b
         got = self.pairs.get(key)
         if got is None:
-            if len(self.pairs) >= 1 << 20:
+            if len(self.pairs) >= 1 << 19:
                 self.pairs.clear()
             got = self.pairs[key] = self.merge(self.pieces[a] + self.pieces[b]) == [a, b]
         return got
@@ -235,7 +235,7 @@ def default_model() -> str:
     return public_tokenizers.path("piece_bpe_32k.model")
 
 
-def encode_documents(docs: DataFrame, model: str | None = None, id_col: str = "doc_id", text_col: str = "text", outputs: tuple[str, ...] = ("ids", "decoded"), store: int = 400_000) -> DataFrame:
+def encode_documents(docs: DataFrame, model: str | None = None, id_col: str = "doc_id", text_col: str = "text", outputs: tuple[str, ...] = ("ids", "decoded"), store: int = 300_000) -> DataFrame:
     """Token ids and decoded text of each row: ``(id_col, n_tokens, ...)`` with the asked outputs.
 
     ``outputs`` may hold ``ids`` (array), ``decoded`` (string), ``ids_sha256`` and ``decoded_sha256``
