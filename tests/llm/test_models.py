@@ -206,3 +206,27 @@ def test_pipeline(spark):
     last = p.STAGES[-1][1](spark, seen, SF)
     assert last.count() == seen.count() and last.where("size(ids) <> n_tokens").isEmpty()
     assert p.STAGES[2][1](spark, docs.limit(0), SF).count() == 0
+
+
+def test_every_repeated_word_has_an_id(spark):
+    n = (1 << 21) + 1000
+    counts = spark.range(n).select(F.col("id").cast("string").cast("binary").alias("word"), F.lit(2).cast("long").alias("c"))
+    v = ngram_lm.build_vocabulary(counts)
+    assert (v.ids > 0).all() and v.sums.size == n + 1 and ngram_lm.plan_shards(v.sums).wide
+    k = np.array([[1, 5], [1, 2**63], [2**31, 0]], np.uint64)
+    assert (ngram_lm._keys_in(ngram_lm._deltas(k), True) == k).all()
+
+
+@pytest.mark.parametrize("common", [0, 3])
+def test_large_word_tables_are_joined(spark, monkeypatch, common):
+    monkeypatch.setattr(ngram_lm.encode_by_join, "__defaults__", (common,))
+    r = np.random.default_rng(6)
+    texts = [" ".join(f"r{int(x)}" for x in r.exponential(5, 15)) for _ in range(50)] + ["r0 r1 r0 unseen words only unseen", "", None]
+    docs = spark.createDataFrame([*enumerate(texts), (0, texts[0])], "doc_id long, text string")
+    use = ngram_lm.fold(F.col("doc_id"), 5) != 1
+    want = sorted(tuple(x) for x in ngram_lm.score_documents(docs, use).collect())
+    for limit in (400_000_000, -1):
+        got = sorted(tuple(x) for x in ngram_lm.score_documents(docs, use, broadcast_words=2, broadcast_bytes=limit, narrow=0).collect())
+        assert len(got) == len(want) and all(x == pytest.approx(y) for x, y in zip(got, want, strict=True))
+    none = ngram_lm.score_documents(docs, F.lit(False), broadcast_words=-1).collect()
+    assert len(none) == len(texts) + 1 and all(x.n_known == 0 and x.train_tokens == 0 for x in none)
