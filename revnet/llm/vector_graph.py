@@ -3,8 +3,9 @@
 Vectors so close to a common centre that all of them link with one another are gathered into balls
 first, so that a large group of near copies becomes few nodes. The nodes (ball centres and single
 vectors) go to their nearest shards, overlapping; each shard builds a robust-pruned neighbour graph
-and the adjacency lists of a node are united. Every node searches the graph of each of its shards
-greedily from the shard's medoid, with a list that widens while nodes within range keep coming.
+and the adjacency lists of a node are united. Every node searches the graphs of these shards and of all
+others across whose border it is close enough to link, greedily from the shard's medoid, with a list that
+widens while nodes within range keep coming.
 Found pairs are verified in double precision; no pair below the cosine is ever linked.
 """
 
@@ -138,6 +139,23 @@ def range_search(x: np.ndarray, adj: list[list[int]], start: int, q: np.ndarray,
             ids, d = np.concatenate([ids, new]), np.concatenate([d, _angles(x[new], q[None, :])[:, 0]])
 
 
+def probed_shards(x: np.ndarray, radius: np.ndarray, cents: np.ndarray, link: float, overlap: int) -> tuple[np.ndarray, np.ndarray]:
+    """Pairs (row, shard) to search: the ``overlap`` nearest shards and those whose border is near.
+
+    The way between nodes of two shards crosses the plane between the two centres, so the angles of
+    both nodes to it add up to no more than the nodes' angle. If that is at most ``link`` and both
+    radii, one of the nodes is within half of ``link`` and its own radius of the plane, and searches the
+    other's nearest shard.
+    """
+    s = x @ cents.T
+    own = s.argmax(1)
+    gap = np.sqrt(np.maximum(2 - 2 * cents @ cents.T, 0))[own]
+    border = np.arcsin(np.clip((s.max(1)[:, None] - s) / np.maximum(gap, 1e-12), 0, 1))
+    take = (border <= (link / 2 + radius + 1e-7)[:, None]) | (gap < 1e-12)
+    np.put_along_axis(take, np.argsort(-s, axis=1, kind="stable")[:, :overlap], True, axis=1)
+    return np.nonzero(take)
+
+
 # --- the operator ---------------------------------------------------------------------------
 
 
@@ -150,7 +168,7 @@ def near_vectors(vectors: DataFrame, cosine: float = 0.9, id_col: str = "vec_id"
     Equal vectors link (cosine 1). Rows with a null id are left out; repeated rows count as rows of
     their own. An empty table gives an empty result; other columns are ignored. Vectors of different
     lengths raise an error. The centres of the shards are fitted on at most ``sample_rows`` rows; all
-    rows are indexed and searched.
+    rows are indexed and searched. Every pair that can link meets in some shard, whatever their number.
     """
     spark = vectors.sparkSession
     link = float(np.arccos(cosine))
@@ -254,10 +272,20 @@ def near_vectors(vectors: DataFrame, cosine: float = 0.9, id_col: str = "vec_id"
     # a node stands in `overlap` shards at most, so its united list is bounded
     graph = materialize(lists.groupBy("node").agg(F.array_distinct(F.flatten(F.collect_list("near"))).alias("near")), "graph")
 
-    # 5. every node searches all cuts of its shards
-    asked = routed.select("shard", "node", "radius", "x", F.explode(F.sequence(F.lit(0), (cuts[F.col("shard")] - 1).cast("int"))).alias("cut"))
+    # 5. every node searches all cuts of its shards and of those behind near borders; a shard's many searches are dealt over several tasks
+    def probe(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in (whole.iloc[at : at + 1024] for whole in batches for at in range(0, len(whole), 1024)):
+            i, shard = probed_shards(np.stack([np.frombuffer(v) for v in b["x"]]), b["radius"].to_numpy(), cents, link, min(overlap, k))
+            yield pd.DataFrame({"shard": shard, "node": b["node"].to_numpy()[i], "radius": b["radius"].to_numpy()[i], "x": b["x"].to_numpy()[i]})
+
+    probes = nodes.mapInPandas(probe, "shard int, node long, radius double, x binary")
+    asks = {int(r.shard): max(1, -(-int(r.n) // (8 * shard_rows))) for r in probes.groupBy("shard").agg(F.count(F.lit(1)).alias("n")).collect()}
+    deals = F.create_map(*[F.lit(v) for a, w in asks.items() for v in (a, w)])
+    asked = probes.select("shard", "node", "radius", "x", F.explode(F.sequence(F.lit(0), (cuts[F.col("shard")] - 1).cast("int"))).alias("cut"))
     both = routed.select("shard", "cut", "node", "radius", "x", F.lit(True).alias("stored")).join(graph, "node", "left")
-    asked = asked.select("shard", F.col("cut").cast("long").alias("cut"), "node", "radius", "x", F.lit(False).alias("stored"), F.lit(None).cast("array<long>").alias("near"))
+    both = both.withColumn("deal", F.explode(F.sequence(F.lit(0), deals[F.col("shard")] - 1)))
+    asked = asked.withColumn("deal", F.pmod(F.xxhash64(F.lit("deal"), "node"), deals[F.col("shard")]).cast("int"))
+    asked = asked.select("shard", F.col("cut").cast("long").alias("cut"), "deal", "node", "radius", "x", F.lit(False).alias("stored"), F.lit(None).cast("array<long>").alias("near"))
     work = both.select(asked.columns).unionByName(asked)
 
     def search(b: pd.DataFrame) -> pd.DataFrame:
@@ -280,7 +308,7 @@ def near_vectors(vectors: DataFrame, cosine: float = 0.9, id_col: str = "vec_id"
         a, z = np.array(out_a, np.int64), np.array(out_b, np.int64)
         return pd.DataFrame({"a": np.minimum(a, z), "b": np.maximum(a, z), "angle": np.array(out_d, float)})
 
-    pairs = work.groupBy("shard", "cut").applyInPandas(search, "a long, b long, angle double").groupBy("a", "b").agg(F.min("angle").alias("angle"))
+    pairs = work.groupBy("shard", "cut", "deal").applyInPandas(search, "a long, b long, angle double").groupBy("a", "b").agg(F.min("angle").alias("angle"))
     info = nodes.select("node", "size", "radius")
     pairs = pairs.join(info.select(F.col("node").alias("a"), F.col("size").alias("na"), F.col("radius").alias("ra")), "a")
     pairs = materialize(pairs.join(info.select(F.col("node").alias("b"), F.col("size").alias("nb"), F.col("radius").alias("rb")), "b"), "node-pairs")

@@ -230,3 +230,20 @@ def test_large_word_tables_are_joined(spark, monkeypatch, common):
         assert len(got) == len(want) and all(x == pytest.approx(y) for x, y in zip(got, want, strict=True))
     none = ngram_lm.score_documents(docs, F.lit(False), broadcast_words=-1).collect()
     assert len(none) == len(texts) + 1 and all(x.n_known == 0 and x.train_tokens == 0 for x in none)
+
+
+def test_links_across_many_shards(spark):
+    r = np.random.default_rng(8)
+    x = r.normal(size=(1000, 64))
+    x /= np.linalg.norm(x, axis=1)[:, None]
+    side = r.normal(size=x.shape)
+    side -= (side * x).sum(1)[:, None] * x
+    side /= np.linalg.norm(side, axis=1)[:, None]
+    both = np.concatenate([x, 0.905 * x + np.sqrt(1 - 0.905**2) * side])
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(both)], "vec_id long, embedding array<double>")
+    got = vector_graph.near_vectors(df, shard_rows=20, sample_rows=800).where("n_links > 0").count()
+    assert got >= 0.99 * len(both)
+    cents, link = vector_graph.centroids(both[::2][:800], 100), np.arccos(0.9)
+    i, shard = vector_graph.probed_shards(both, np.zeros(len(both)), cents, link, 2)
+    probed, near = set(zip(i.tolist(), shard.tolist(), strict=True)), (both @ cents.T).argmax(1)
+    assert all((a, near[a + 1000]) in probed or (a + 1000, near[a]) in probed for a in range(1000))
