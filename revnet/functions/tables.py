@@ -16,5 +16,57 @@ class ExpandCells:
                 yield cx, cy
 
 
+class _RknnOf:
+    """Objects that have a site among their k nearest facilities, on a network held in the function."""
+
+    tables: tuple = ()
+
+    def __init__(self):
+        from ..operators.halo import Region
+
+        v, f, o = self.tables
+        self.region, self.on = Region.of(v, f), o
+
+    def eval(self, site: int, k: int):
+        from ..operators.halo import grow
+
+        lists: dict = {}
+
+        def near(v: int) -> dict:
+            if v not in lists:
+                lists[v] = {f: d for d, f in self.region.nearest([(0, v)], k, "by_id")}
+            return lists[v]
+
+        seen = set()
+        for v, _, _, go in grow(self.region, site, k, near, ("stop",), None, None) if site in self.region.out else ():
+            for m, a, b, off, w in self.on.get(v, ()) if go else ():
+                if m not in seen:
+                    seen.add(m)
+                    got = self.region.nearest([(off, a), (w - off, b)], k, "by_id")
+                    if any(f == site for _, f in got):
+                        yield m, next(d for d, f in got if f == site)
+
+
+def register_rknn(spark: SparkSession, net, facilities, objects, limit: int = 2_000_000) -> None:
+    """Register ``rknn_of(site, k)`` for SQL: ``(m, net_dist)`` of one site, for networks and objects of at most ``limit`` rows.
+
+    The network goes with the function to wherever it is called; larger inputs raise an error and need ``rknn``.
+    """
+    from ..operators.distance import with_ends
+    from ..plans.storage import small
+
+    if not (small(net.arcs, limit) and small(objects, limit)):
+        raise ValueError("rknn_of is for small networks; use rknn")
+    out: dict[int, list] = {r.v: [] for r in net.vertices.select("v").collect()}
+    for r in net.arcs.collect():
+        out[r.src].append((r.dst, r.w))
+    on: dict[int, list] = {}
+    for r in with_ends(objects, net).collect():
+        for v in (r.u, r.v):
+            on.setdefault(v, []).append((r.m, r.u, r.v, r.off, r.w))
+    held = (out, {r.f for r in facilities.select("f").collect()}, on)
+    spark.udtf.register("rknn_of", udtf(type("RknnOf", (_RknnOf,), {"tables": held}), returnType="m: long, net_dist: long"))
+
+
 def register(spark: SparkSession) -> None:
     spark.udtf.register("expand_cells", ExpandCells)

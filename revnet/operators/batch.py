@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass, replace
+from dataclasses import dataclass, field, replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -10,87 +10,117 @@ from pyspark.sql import functions as F
 from ..network import RoadNetwork, validate_inputs
 from ..plans.options import RknnOptions
 from ..plans.planner import choose_plan
-from ..plans.storage import stored
+from ..plans.storage import drop_stored, stored
 from .count_tree import CountTree, build_count_tree
-from .expand import Expansion, pruned_expand
+from .expand import Expansion, expand
 from .flood import object_knn, vertex_knn
+from .halo import TiledNetwork, halo_knn, tile_network
 from .regions import influence_region, region_members
 from .verify import DistanceCache, candidates, exact_membership, quick_verify
 
 
 @dataclass
 class BatchRun:
-    """Answers ``(q, m, net_dist, rk)`` of a batch and the tables behind its measures (where the plan has them)."""
+    """Answers ``(q, m, net_dist)``, with ``rk`` if asked for, and the tables behind a batch's measures (where the plan has them)."""
 
     result: DataFrame
     plan: str
     expansion: Expansion | None = None
-    candidates: DataFrame | None = None  # (q, m, d_ub, cnt, nodes, verdict)
+    candidates: DataFrame | None = None  # (q, m, eid, off, d_ub, cnt, nodes, verdict)
     cache: DistanceCache | None = None
+    tables: list = field(default_factory=list)
+
+    def close(self) -> None:
+        """Empty the cache and delete the tables of this batch, once its result has been read or written."""
+        if self.cache is not None:
+            self.cache.clear()
+        for t in self.tables + (self.expansion.tables if self.expansion else []):
+            drop_stored(t)
+        self.tables = []
 
 
 def run_batch(
-    net: RoadNetwork, facilities: DataFrame, queries: DataFrame, objects: DataFrame, options: RknnOptions | None = None,
-    tree: CountTree | None = None, vertex_labels: DataFrame | None = None, validate: bool = False, admissibility: float | None = None,
+    net: RoadNetwork, facilities: DataFrame, queries: DataFrame, objects: DataFrame, options: RknnOptions | None = None, tree: CountTree | None = None,
+    vertex_labels: DataFrame | None = None, validate: bool = False, admissibility: float | None = None, tiled: TiledNetwork | None = None,
 ) -> BatchRun:
-    """Answer a batch; every plan and option gives the same answers.
+    """Answer a batch; every plan and option gives the same rows.
 
     Repeated queries count once, an empty batch or no objects give an empty result, objects that
-    reach fewer than k facilities count all of them. ``tree`` and ``vertex_labels`` may be handed in
-    where several batches share the facilities, ``admissibility`` where it is known (else one small
-    aggregate finds it, as the circle test needs it on networks with roads shorter than straight lines).
+    reach fewer than k facilities count all of them. ``tree``, ``tiled`` and ``vertex_labels`` may be
+    handed in where several batches share the facilities, ``admissibility`` where it is known (else
+    one small aggregate finds it, as the circle test needs it on networks with roads shorter than
+    straight lines). A hop limit asks for objects on roads at vertices that are so few roads from q,
+    over vertices that have q among their k nearest; a radius limit for those at most so far.
     """
     o = options or RknnOptions()
     if validate:
         validate_inputs(net, facilities, queries, objects)
     queries = queries.select("q").distinct()
-    plan = o.plan
+    if o.exclude_self:
+        got = monochromatic(net, facilities, queries, o.k, o.ties)
+        return BatchRun(got if o.ranks else got.drop("rk"), "flood")
+    plan, tiled = o.plan, tiled or tile_network(net, facilities)
     if plan == "auto":
         limited = o.max_radius is not None or o.max_hops is not None
-        plan = "expand" if limited else choose_plan(net, facilities, queries, o.k, bool({"stop", "ancestor"} & set(o.rules))).plan
+        plan = "expand" if limited else choose_plan(net, facilities, queries, o.k, objects, (tiled.n, tiled.f)).plan
+    if plan == "expand":
+        return _expand(net, facilities, queries, objects, o, tree, vertex_labels, admissibility, tiled)
+    made = []
+    if vertex_labels is None:
+        vertex_labels = stored(halo_knn(tiled, o.k, o.ties), "vertex-labels")
+        made = [vertex_labels]
     if plan == "flood":
-        labels = vertex_labels or vertex_knn(net, facilities, o.k, o.ties, o.max_rounds)
-        near = object_knn(objects, net, labels, o.k, o.ties)
-        return BatchRun(near.withColumnRenamed("f", "q").join(queries, "q", "left_semi").select("q", "m", F.col("d").alias("net_dist"), "rk"), plan)
-    if plan == "region":
-        labels = vertex_labels or vertex_knn(net, facilities, o.k, o.ties, o.max_rounds)
-        region = influence_region(net, labels, queries, o.k, o.ties)
-        return BatchRun(region_members(region, objects, net, labels), plan)
-    return _expand(net, facilities, queries, objects, o, tree, vertex_labels, admissibility)
-
-
-def _expand(net, facilities, queries, objects, o: RknnOptions, tree, vertex_labels, admissibility) -> BatchRun:
-    labels = vertex_labels
-    if labels is None and {"stop", "ancestor"} & set(o.rules):
-        labels = vertex_knn(net, facilities, o.k, o.ties, o.max_rounds)
-    exp = pruned_expand(net, facilities, queries, o.k, o.rules, o.ties, labels, o.max_radius, o.max_hops, o.max_rounds)
-    cand = stored(candidates(exp.labels, objects, net), "candidates")
+        # only roads with a query of the batch in the lists of their ends can hold answers
+        near = vertex_labels.where(F.col("rk") <= o.k).withColumnRenamed("f", "q").join(queries, "q", "left_semi").select("v").distinct()
+        roads = net.edges.join(near.withColumnRenamed("v", "u"), "u", "left_semi").unionByName(net.edges.join(near, "v", "left_semi").select("u", "eid", "v", "w")).select("eid").distinct()
+        roads = stored(roads, "near-roads")
+        got = object_knn(objects.join(roads, "eid", "left_semi"), net, vertex_labels, o.k, o.ties).withColumnRenamed("f", "q").join(queries, "q", "left_semi")
+        made.append(roads)
+    else:
+        region = stored(influence_region(net, vertex_labels, queries, o.k, o.ties), "regions")
+        got = region_members(region, objects)
+        made.append(region)
+    return BatchRun(got.select("q", "m", F.col("d").alias("net_dist"), *(["rk"] if o.ranks else [])), plan, tables=made)
+
+
+def _expand(net, facilities, queries, objects, o: RknnOptions, tree, vertex_labels, admissibility, tiled) -> BatchRun:
+    exp = expand(tiled, queries, o.k, o.rules, o.ties, o.share, o.max_radius, o.max_hops, vertex_labels, o.max_rounds)
+    limited = o.max_radius is not None or o.max_hops is not None
+    cand = candidates(exp.labels, objects, net, o.ends)
     if o.max_radius is not None:
         cand = cand.where(F.col("d_ub") <= o.max_radius)
-    if o.quick:
+    cache = DistanceCache(net, facilities, o.k, o.ties, o.cache_key, o.cache_payload, tiled)
+    if o.share and exp.lists is not None:
+        cache.take(exp.lists)
+    quick = o.quick and not o.ranks and not limited  # ranks, and distances under a limit, come from exact lists alone
+    if quick:
         if admissibility is None:
             admissibility = net.admissibility()
         tree = tree or build_count_tree(facilities, o.tree_fanout, o.leaf_size)
-        cand = stored(quick_verify(cand, objects, net, tree, o.k, o.bound, o.count_mode, admissibility), "verdicts")
+        cand = quick_verify(cand, objects, net, tree, o.k, o.bound, o.count_mode, admissibility)
     else:
         cand = cand.withColumns({"cnt": F.lit(None).cast("long"), "nodes": F.lit(0).cast("long"), "verdict": F.lit("UNKNOWN")})
-    cache = DistanceCache(net, facilities, o.k, o.ties, o.cache_key, o.cache_payload)
-    # YES pairs are answers; their ranks, and with tied ranks or limits their distances, come from the same exact lists
-    answers = exact_membership(cand.where("verdict = 'UNKNOWN'"), objects, cache)
-    sure = cand.where("verdict = 'YES'")
-    answers = answers.select("q", "m", F.col("d").alias("net_dist")).unionByName(sure.select("q", "m", F.col("d_ub").alias("net_dist")))
-    return BatchRun(answers.withColumn("rk", F.lit(None).cast("int")), "expand", exp, cand, cache)
+    cand = stored(cand, "candidates")
+    answers = exact_membership(cand.where("verdict = 'UNKNOWN'"), objects, cache, o.share).withColumnRenamed("d", "net_dist")
+    if o.max_radius is not None:
+        answers = answers.where(F.col("net_dist") <= o.max_radius)
+    if not o.ranks:
+        answers = answers.drop("rk")
+    if quick:
+        # at a vertex that was left the label is the true distance, so a sure pair's is too
+        answers = answers.unionByName(cand.where("verdict = 'YES'").select("q", "m", F.col("d_ub").alias("net_dist")))
+    return BatchRun(answers, "expand", exp, cand, cache, [cand])
 
 
 def batch_rknn(net: RoadNetwork, facilities: DataFrame, queries: DataFrame, objects: DataFrame, options: RknnOptions | None = None, **kw) -> DataFrame:
-    """Answers ``(q, m, net_dist, rk)``; the expand plan, which need not rank, leaves ``rk`` null."""
+    """Answers ``(q, m, net_dist)``, with the rank ``rk`` of q among the facilities of m if the options ask for it."""
     return run_batch(net, facilities, queries, objects, options, **kw).result
 
 
-def rknn(net: RoadNetwork, facilities: DataFrame, q: int, objects: DataFrame, options: RknnOptions | None = None) -> DataFrame:
+def rknn(net: RoadNetwork, facilities: DataFrame, q: int, objects: DataFrame, options: RknnOptions | None = None, **kw) -> DataFrame:
     """The batch of one query."""
     one = net.vertices.sparkSession.createDataFrame([(q,)], "q long")
-    return batch_rknn(net, facilities, one, objects, options)
+    return batch_rknn(net, facilities, one, objects, options, **kw)
 
 
 def as_pairs(result: DataFrame, queries: DataFrame) -> DataFrame:
@@ -104,7 +134,27 @@ def one_by_one(net: RoadNetwork, facilities: DataFrame, query_list: list[int], o
     """The batch as a driver loop of single queries, nothing shared between them; for comparison only."""
     spark, out = net.vertices.sparkSession, None
     for q in query_list:
-        part = stored(batch_rknn(net, facilities, spark.createDataFrame([(q,)], "q long"), objects, replace(options or RknnOptions(), plan="expand"), **kw), "one")
+        run = run_batch(net, facilities, spark.createDataFrame([(q,)], "q long"), objects, replace(options or RknnOptions(), plan="expand"), **kw)
+        part = stored(run.result, "one")
+        run.close()
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+def in_waves(net: RoadNetwork, facilities: DataFrame, queries: DataFrame, objects: DataFrame, count: int, options: RknnOptions | None = None, **kw) -> DataFrame:
+    """The batch in ``count`` waves of queries that lie close together, one after the other; each wave's cache is cleared at its end.
+
+    Bounds the labels and lists that are held at a time; queries of a wave share most.
+    """
+    from ..plans.batching import waves
+
+    cut = stored(waves(queries, net.vertices, count), "waves")
+    kw.setdefault("tiled", tile_network(net, facilities))
+    out = None
+    for i in range(count):
+        run = run_batch(net, facilities, cut.where(F.col("wave") == i).select("q"), objects, options, **kw)
+        part = stored(run.result, "wave")
+        run.close()
         out = part if out is None else out.unionByName(part)
     return out
 

@@ -15,11 +15,16 @@ from ..plans.storage import stored
 
 @dataclass
 class CountTree:
-    """``nodes(node, parent, level, cnt, box, disc)``: level 0 holds the leaves; ``points(node, f, x, y)`` their facilities."""
+    """``levels`` of nodes ``(node, parent, cnt, box, disc, first)``, leaves first, a table each; ``points(node, f, x, y, first)`` the leaves' facilities.
 
-    nodes: DataFrame
+    ``first`` marks one child of each parent."""
+
+    levels: list[DataFrame]
     points: DataFrame
-    depth: int
+
+    @property
+    def depth(self) -> int:
+        return len(self.levels)
 
 
 def build_count_tree(facilities: DataFrame, fanout: int = 16, leaf_size: int = 32) -> CountTree:
@@ -33,16 +38,17 @@ def build_count_tree(facilities: DataFrame, fanout: int = 16, leaf_size: int = 3
     cuts = [i / side for i in range(1, side)]
     rows = facilities.select("f", "x", "y")
     if side > 1:
-        xs = rows.agg(F.percentile_approx("x", cuts, 100_000)).first()[0]
-        rows = rows.withColumn("strip", _rank(F.col("x"), xs))
-        ys = rows.groupBy("strip").agg(F.percentile_approx("y", cuts, 10_000).alias("ys"))
-        rows = rows.join(F.broadcast(ys), "strip").withColumn("tile", F.size(F.filter("ys", lambda c: c < F.col("y"))))
+        xs = np.array(rows.agg(F.percentile_approx("x", cuts, 100_000)).first()[0], float)
+        strip = F.pandas_udf(lambda x: pd.Series(np.searchsorted(xs, x.to_numpy(float), side="left").astype(np.int32)), "int")
+        rows = rows.withColumn("strip", strip("x"))
+        ys = stored(rows.groupBy("strip").agg(F.percentile_approx("y", cuts, 10_000).alias("ys")), "tree-strips")
+        rows = rows.join(ys, "strip").withColumn("tile", F.size(F.filter("ys", lambda c: c < F.col("y"))))
         # neighbouring strips run in opposite directions, so that following numbers are neighbours
         tile = F.when(F.col("strip") % 2 == 0, F.col("tile")).otherwise(side - 1 - F.col("tile"))
         rows = rows.withColumn("node", (F.col("strip") * side + tile).cast("long"))
     else:
         rows = rows.withColumn("node", F.lit(0).cast("long"))
-    points = stored(rows.select("node", "f", "x", "y"), "tree-points")
+    points = stored(rows.select("node", "f", "x", "y", F.expr("f = min(f) over (partition by node)").alias("first")), "tree-points")
 
     def leaf(g: pd.DataFrame) -> pd.DataFrame:
         x, y = g["x"].to_numpy(float), g["y"].to_numpy(float)
@@ -50,33 +56,21 @@ def build_count_tree(facilities: DataFrame, fanout: int = 16, leaf_size: int = 3
         return pd.DataFrame({"node": [g["node"].iloc[0]], "cnt": [len(g)], "xmin": [int(g["x"].min())], "ymin": [int(g["y"].min())], "xmax": [int(g["x"].max())], "ymax": [int(g["y"].max())], "cx": [cx], "cy": [cy], "cr": [cr]})
 
     schema = "node long, cnt long, xmin long, ymin long, xmax long, ymax long, cx double, cy double, cr double"
-    level = stored(points.groupBy("node").applyInPandas(leaf, schema), "tree-leaves")
-    parts, depth, width = [], 0, side * side
+    level, levels, width = points.groupBy("node").applyInPandas(leaf, schema), [], side * side
     while True:
-        parts.append(level.select(F.lit(depth).alias("level"), "node", F.expr(f"node div {fanout}").alias("parent"), "cnt", "xmin", "ymin", "xmax", "ymax", "cx", "cy", "cr"))
-        if width == 1:
-            break
-        up = level.withColumn("p", F.expr(f"node div {fanout}"))
-        mid = up.groupBy("p").agg(F.avg("cx").alias("mx"), F.avg("cy").alias("my"))
-        up = up.join(F.broadcast(mid), "p")
+        top = width == 1
+        level = level.withColumn("parent", F.lit(0).cast("long") if top else F.expr(f"node div {fanout}"))
+        level = stored(level.withColumn("first", F.expr("node = min(node) over (partition by parent)")), "tree-level")
+        levels.append(level)
+        if top:
+            return CountTree(levels, points)
+        mid = level.groupBy("parent").agg(F.avg("cx").alias("mx"), F.avg("cy").alias("my"))
         reach = F.sqrt((F.col("cx") - F.col("mx")) ** 2 + (F.col("cy") - F.col("my")) ** 2) + F.col("cr")
-        level = up.groupBy(F.col("p").alias("node")).agg(
+        level = level.join(mid, "parent").groupBy(F.col("parent").alias("node")).agg(
             F.sum("cnt").alias("cnt"), F.min("xmin").alias("xmin"), F.min("ymin").alias("ymin"), F.max("xmax").alias("xmax"), F.max("ymax").alias("ymax"),
             F.first("mx").alias("cx"), F.first("my").alias("cy"), (F.max(reach) * (1 + 1e-9)).alias("cr"),
         )
-        depth, width = depth + 1, -(-width // fanout)
-    nodes = parts[0]
-    for p in parts[1:]:
-        nodes = nodes.unionByName(p)
-    return CountTree(stored(nodes, "tree-nodes"), points, depth + 1)
-
-
-def _rank(c: Column, cuts: list) -> Column:
-    """Number of cuts below a value."""
-    out = F.lit(0)
-    for x in cuts:
-        out = out + F.when(c > F.lit(x), 1).otherwise(0)
-    return out
+        width = -(-width // fanout)
 
 
 def range_count(tree: CountTree, circles: DataFrame, bound: str = "mbc", count_mode: str = "exact") -> DataFrame:
@@ -85,42 +79,47 @@ def range_count(tree: CountTree, circles: DataFrame, bound: str = "mbc", count_m
     A node outside is left, one inside adds its stored count, one partly covered goes on to its
     children, at the leaves to its points. ``bound`` takes boxes, circles or the tighter of both;
     ``count_mode`` upper counts partly covered leaves whole, which only ever counts more. The depth
-    is known, so all levels form one lazy plan.
+    is known, so all levels form one lazy plan through which each circle goes once: a row that is
+    settled passes the further levels unmatched. Levels are tables of their own, so the upper ones
+    are broadcast by their size and only leaves too many for that are met by exchange, when circles
+    have spread over them.
     """
     px, py, r = F.col("px"), F.col("py"), F.col("r")
-    box = box_bounds2(px, py, "xmin", "ymin", "xmax", "ymax")
-    disc = disc_bounds(px, py, "cx", "cy", "cr")
-    low = {"mbr": F.sqrt(box[0]), "mbc": disc[0], "both": F.greatest(F.sqrt(box[0]), disc[0])}[bound]
-    high = {"mbr": F.sqrt(box[1]), "mbc": disc[1], "both": F.least(F.sqrt(box[1]), disc[1])}[bound]
-    keep = circles.select("id", "px", "py", "r")
-    active = keep.withColumn("parent", F.lit(0).cast("long"))
-    counts = []
+    low, high = _bounds(px, py, bound)
+    # settled rows get a spread key that no node has, so that an exchange deals them evenly
+    settled = -1 - F.pmod(F.xxhash64("id"), F.lit(1 << 20))
+    zero, one = F.lit(0).cast("long"), F.lit(1).cast("long")
+    rows = circles.select("id", "px", "py", "r", zero.alias("at"), zero.alias("got"), zero.alias("seen"))
     for level in range(tree.depth - 1, -1, -1):
-        nodes = tree.nodes.where(F.col("level") == level).withColumn("parent", F.col("parent") if level < tree.depth - 1 else F.lit(0).cast("long"))
-        met = active.join(nodes, "parent")
-        state = F.when(low > r, "out").when(high <= r, "in").otherwise("part")
-        met = met.select("id", "px", "py", "r", "node", "cnt", state.alias("state"))
-        whole = "state = 'in'" if level or count_mode == "exact" else "state <> 'out'"
-        counts.append(met.select("id", F.when(F.expr(whole), F.col("cnt")).otherwise(0).alias("cnt"), F.lit(1).alias("nodes")))
-        active = met.where("state = 'part'").select("id", "px", "py", "r", F.col("node").alias("parent"))
+        met, here = rows.join(tree.levels[level], F.col("at") == F.col("parent"), "left"), F.col("node").isNotNull()
+        meets = here & (low <= r)
+        whole = meets if level == 0 and count_mode == "upper" else meets & (high <= r)
+        # what a node's row has seen goes on with one of its children
+        rows = met.select(
+            "id", "px", "py", "r", F.when(meets & ~whole, F.col("node")).otherwise(settled).alias("at"),
+            (F.col("got") + F.when(whole, F.col("cnt")).otherwise(zero)).alias("got"),
+            F.when(here, one + F.when(F.col("first"), F.col("seen")).otherwise(zero)).otherwise(F.col("seen")).alias("seen"),
+        )
     if count_mode == "exact":
-        inside = active.join(tree.points.withColumnRenamed("node", "parent"), "parent").where((F.col("x") - px) * (F.col("x") - px) + (F.col("y") - py) * (F.col("y") - py) <= r * r)
-        counts.append(inside.select("id", F.lit(1).cast("long").alias("cnt"), F.lit(0).alias("nodes")))
-    total = counts[0]
-    for c in counts[1:]:
-        total = total.unionByName(c)
-    return total.groupBy("id").agg(F.sum("cnt").alias("cnt"), F.sum("nodes").cast("long").alias("nodes"))
+        met = rows.join(tree.points, F.col("at") == F.col("node"), "left")
+        near = F.coalesce((F.col("x") - px) * (F.col("x") - px) + (F.col("y") - py) * (F.col("y") - py) <= r * r, F.lit(False))
+        rows = met.select("id", (F.col("got") + near.cast("long")).alias("got"), F.when(F.coalesce("first", F.lit(True)), F.col("seen")).otherwise(zero).alias("seen"))
+    return rows.groupBy("id").agg(F.sum("got").alias("cnt"), F.sum("seen").alias("nodes"))
+
+
+def _bounds(px: Column, py: Column, bound: str) -> tuple[Column, Column]:
+    """Least and greatest distance of a point to a node's box, circle, or the tighter of both."""
+    box, disc = box_bounds2(px, py, "xmin", "ymin", "xmax", "ymax"), disc_bounds(px, py, "cx", "cy", "cr")
+    low = {"mbr": F.sqrt(box[0]), "mbc": disc[0], "both": F.greatest(F.sqrt(box[0]), disc[0])}[bound]
+    return low, {"mbr": F.sqrt(box[1]), "mbc": disc[1], "both": F.least(F.sqrt(box[1]), disc[1])}[bound]
 
 
 def range_search(tree: CountTree, circles: DataFrame, bound: str = "mbc") -> DataFrame:
     """``(id, f)``: the facilities within each circle, borders included."""
     px, py, r = F.col("px"), F.col("py"), F.col("r")
-    box = box_bounds2(px, py, "xmin", "ymin", "xmax", "ymax")
-    disc = disc_bounds(px, py, "cx", "cy", "cr")
-    low = {"mbr": F.sqrt(box[0]), "mbc": disc[0], "both": F.greatest(F.sqrt(box[0]), disc[0])}[bound]
-    active = circles.select("id", "px", "py", "r", F.lit(0).cast("long").alias("parent"))
+    low, _ = _bounds(px, py, bound)
+    rows = circles.select("id", "px", "py", "r", F.lit(0).cast("long").alias("at"))
     for level in range(tree.depth - 1, -1, -1):
-        nodes = tree.nodes.where(F.col("level") == level).withColumn("parent", F.col("parent") if level < tree.depth - 1 else F.lit(0).cast("long"))
-        active = active.join(nodes, "parent").where(low <= r).select("id", "px", "py", "r", F.col("node").alias("parent"))
-    hit = active.join(tree.points.withColumnRenamed("node", "parent"), "parent")
+        rows = rows.join(tree.levels[level], F.col("at") == F.col("parent")).where(low <= r).select("id", "px", "py", "r", F.col("node").alias("at"))
+    hit = rows.join(tree.points, F.col("at") == F.col("node"))
     return hit.where((F.col("x") - px) * (F.col("x") - px) + (F.col("y") - py) * (F.col("y") - py) <= r * r).select("id", "f")

@@ -43,7 +43,8 @@ def object_seeds(objects: DataFrame, net: RoadNetwork) -> DataFrame:
 def object_distance(objects: DataFrame, net: RoadNetwork, vertex_dist: DataFrame, name: str = "f") -> DataFrame:
     """Distances ``(m, f, d)`` of objects to facilities from ``vertex_dist(v, f, d)``: the better of both ends."""
     at = vertex_dist.select("v", name, F.col("d").alias("dv"))
-    return object_seeds(objects, net).join(at, "v").groupBy("m", name).agg(F.min(F.col("d") + F.col("dv")).alias("d"))
+    # dealt by object, as rankings per object follow
+    return object_seeds(objects, net).join(at, "v").repartition("m").groupBy("m", name).agg(F.min(F.col("d") + F.col("dv")).alias("d"))
 
 
 def located(objects: DataFrame, net: RoadNetwork) -> DataFrame:

@@ -22,14 +22,19 @@ def ranked(df: DataFrame, group: str, k: int, ties: str, facility: str = "f") ->
 
 
 def vertex_knn(net: RoadNetwork, facilities: DataFrame, k: int, ties: str = "by_id", max_rounds: int = 100_000) -> DataFrame:
-    """``(v, f, d, rk)``: the k nearest facilities of every vertex.
+    """``(v, f, d, rk)``: the k nearest facilities of every vertex, in rounds over the whole network (see ``halo_knn`` for tiles)."""
+    seeds = facilities.select(F.col("f").alias("v"), "f", F.lit(0).cast("long").alias("d")).distinct()
+    return label_flood(net, seeds, k, ties, max_rounds)
+
+
+def label_flood(net: RoadNetwork, seeds: DataFrame, k: int, ties: str = "by_id", max_rounds: int = 100_000) -> DataFrame:
+    """``(v, f, d, rk)``: the k nearest facilities of every vertex from first labels ``seeds(v, f, d)``.
 
     A round joins the labels that are new with the arcs and keeps the k best per vertex; one exchange
     by vertex serves both the minimum per facility and the ranking. Vertices that reach fewer
     facilities have fewer rows.
     """
-    seeds = facilities.select(F.col("f").alias("v"), "f", F.lit(0).cast("long").alias("d"), F.lit(1).alias("rk"), F.lit(True).alias("fresh")).distinct()
-    labels = stored(seeds, "flood")
+    labels = stored(ranked(seeds.groupBy("v", "f").agg(F.min("d").alias("d")), "v", k, ties).withColumn("fresh", F.lit(True)), "flood")
     for _ in range(max_rounds):
         step = labels.where("fresh").join(net.arcs, F.col("v") == F.col("src")).select(F.col("dst").alias("v"), "f", (F.col("d") + F.col("w")).alias("d"), F.lit(True).alias("fresh"))
         both = labels.select("v", "f", "d", F.lit(False).alias("fresh")).unionByName(step).repartition("v")

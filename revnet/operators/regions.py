@@ -10,38 +10,38 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..network import RoadNetwork
-from .distance import object_distance
+from ..plans.storage import stored
 
 
 def influence_region(net: RoadNetwork, labels: DataFrame, queries: DataFrame, k: int, ties: str = "by_id") -> DataFrame:
-    """``(q, eid, lo, hi)``: the whole offsets of each edge at which q is among the k nearest.
+    """``(q, eid, w, lo, hi, rk, du, dv)``: runs of whole offsets of each edge at which q has the same rank among the k nearest.
 
-    Along an edge a facility's distance is the lesser of two lines, so the set of its k nearest
-    changes only where two such lines cross. Edges meet the labels of their ends once; the intervals
-    of an edge are found from these at most 2k labels alone.
+    Along an edge a facility's distance is the lesser of two lines, from its distances ``du`` and
+    ``dv`` to the ends (null: not in that end's list), so ranks change only where two such lines
+    cross. Edges meet the labels of their ends once; the runs of an edge are found from these at
+    most 2k labels alone, for edges at which a query of the batch has a label.
     """
-    ends = labels.groupBy("v").agg(F.sort_array(F.collect_list(F.struct("f", "d"))).alias("l"))
-    e = net.edges.join(ends.select(F.col("v").alias("u"), F.col("l").alias("lu")), "u", "left").join(ends.select("v", F.col("l").alias("lv")), "v", "left")
+    asked = queries.select("q").distinct()
+    ends = labels.groupBy("v").agg(F.collect_list(F.struct("f", "d")).alias("l"))
+    near = stored(labels.withColumnRenamed("f", "q").join(asked, "q").groupBy("v").agg(F.collect_set("q").alias("own")), "near-ends")
     none = F.array().cast("array<struct<f:bigint,d:bigint>>")
-    asked = F.broadcast(queries.select("q").distinct()) if queries.limit(1_000_001).count() <= 1_000_000 else queries.select("q").distinct()
+    few = F.array().cast("array<bigint>")
+    e = net.edges.join(near.select(F.col("v").alias("u"), F.col("own").alias("ou")), "u", "left").join(near.select("v", F.col("own").alias("ov")), "v", "left").where("ou is not null or ov is not null")
+    e = e.join(ends.select(F.col("v").alias("u"), F.col("l").alias("lu")), "u", "left").join(ends.select("v", F.col("l").alias("lv")), "v", "left")
+    e = e.select("eid", "w", F.coalesce("lu", none).alias("lu"), F.coalesce("lv", none).alias("lv"), F.array_union(F.coalesce("ou", few), F.coalesce("ov", few)).alias("own"))
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
-            q, eid, lo, hi = [], [], [], []
-            for i, w, lu, lv in zip(b["eid"], b["w"], b["lu"], b["lv"], strict=True):
-                for f, a, z in edge_intervals(int(w), [(r["f"], r["d"]) for r in lu], [(r["f"], r["d"]) for r in lv], k, ties):
-                    q.append(f)
-                    eid.append(i)
-                    lo.append(a)
-                    hi.append(z)
-            yield pd.DataFrame({"q": np.array(q, np.int64), "eid": np.array(eid, np.int64), "lo": np.array(lo, np.int64), "hi": np.array(hi, np.int64)})
+            rows = []
+            for i, w, lu, lv, own in zip(b["eid"], b["w"], b["lu"], b["lv"], b["own"], strict=True):
+                rows += [(f, i, w, *r) for f, *r in edge_intervals(int(w), [(r["f"], r["d"]) for r in lu], [(r["f"], r["d"]) for r in lv], k, ties, set(own.tolist()))]
+            yield pd.DataFrame(rows, columns=["q", "eid", "w", "lo", "hi", "rk", "du", "dv"]).astype({"du": "Int64", "dv": "Int64"})
 
-    rows = e.select("eid", "w", F.coalesce("lu", none).alias("lu"), F.coalesce("lv", none).alias("lv")).mapInPandas(run, "q long, eid long, lo long, hi long")
-    return rows.join(asked, "q", "left_semi")
+    return e.mapInPandas(run, "q long, eid long, w long, lo long, hi long, rk int, du long, dv long")
 
 
-def edge_intervals(w: int, lu: list[tuple[int, int]], lv: list[tuple[int, int]], k: int, ties: str) -> list[tuple[int, int, int]]:
-    """Maximal runs (facility, first, last whole offset) in which it is among the k nearest on an edge of length ``w``."""
+def edge_intervals(w: int, lu: list[tuple[int, int]], lv: list[tuple[int, int]], k: int, ties: str, own: set[int] | None = None) -> list[tuple]:
+    """Maximal runs (facility, first, last whole offset, rank, distances to both ends) on an edge of length ``w``, of the facilities in ``own`` or all."""
     facs = sorted({f for f, _ in lu} | {f for f, _ in lv})
     if not facs:
         return []
@@ -57,29 +57,25 @@ def edge_intervals(w: int, lu: list[tuple[int, int]], lv: list[tuple[int, int]],
     if ties == "by_id":
         order = np.argsort(d, axis=0, kind="stable")  # facilities are in order of their ids
         rank = np.empty_like(order)
-        np.put_along_axis(rank, order, np.arange(len(facs))[:, None] + np.zeros((1, len(cuts)), np.int64), 0)
-        member = rank < k
+        np.put_along_axis(rank, order, np.arange(1, len(facs) + 1)[:, None] + np.zeros((1, len(cuts)), np.int64), 0)
     else:
-        member = (d[:, None, :] > d[None, :, :]).sum(1) < k
-    member &= d < far
+        rank = 1 + (d[:, None, :] > d[None, :, :]).sum(1)
+    rank = np.where(d < far, rank, k + 1)
     out = []
     for i, f in enumerate(facs):
-        m = member[i]
-        if m.any():
-            on = np.flatnonzero(m & ~np.append(False, m[:-1]))
-            off = np.flatnonzero(m & ~np.append(m[1:], False))
-            # between neighbouring cuts nothing changes, so a run ends before the next cut at which it does not hold
-            out += [(f, int(cuts[s]), int(cuts[t])) for s, t in zip(on, off, strict=True)]
+        r = rank[i]
+        if (own is None or f in own) and (r <= k).any():
+            # between neighbouring cuts nothing changes, so a run ends where the next cut has another rank
+            turn = np.flatnonzero(r[1:] != r[:-1])
+            on, off = np.append(0, turn + 1), np.append(turn, len(r) - 1)
+            out += [(f, int(cuts[s]), int(cuts[t]), int(r[s]), du.get(f), dv.get(f)) for s, t in zip(on, off, strict=True) if r[s] <= k]
     return out
 
 
-def region_members(region: DataFrame, objects: DataFrame, net: RoadNetwork, labels: DataFrame) -> DataFrame:
-    """Answers ``(q, m, net_dist, rk)`` by an interval join of objects with the regions of their edges."""
-    hit = objects.select("m", "eid", "off").join(region, "eid").where("off between lo and hi").select("q", "m", "eid", "off")
-    pairs = hit.select("q", "m")
-    dist = object_distance(objects.join(pairs.select("m").distinct(), "m", "left_semi"), net, labels)
-    got = pairs.join(dist.withColumnRenamed("f", "q"), ["q", "m"])
-    return got.select("q", "m", F.col("d").alias("net_dist"), F.lit(None).cast("int").alias("rk"))
+def region_members(region: DataFrame, objects: DataFrame) -> DataFrame:
+    """Answers ``(q, m, d, rk)`` by one join of objects with the runs of their edges, each of which gives rank and distance."""
+    hit = objects.select("m", "eid", "off").join(region, "eid").where("off between lo and hi")
+    return hit.select("q", "m", F.least(F.col("du") + F.col("off"), F.col("dv") + F.col("w") - F.col("off")).alias("d"), "rk")
 
 
 def safe_slack(knn: DataFrame, k: int) -> DataFrame:

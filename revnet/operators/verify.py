@@ -10,15 +10,25 @@ from pyspark.sql import functions as F
 from ..network import RoadNetwork
 from ..plans.storage import drop_stored, stored
 from .count_tree import CountTree, range_count
-from .distance import located, object_seeds, with_ends
-from .flood import ball_knn, object_knn, ranked
+from .distance import object_seeds
+from .flood import object_knn, ranked
+from .halo import TiledNetwork, search_sources, tile_network, vertex_sources
 
 
-def candidates(labels: DataFrame, objects: DataFrame, net: RoadNetwork) -> DataFrame:
-    """``(q, m, d_ub)``: objects on roads at reached vertices, once per query, by the better end."""
-    o = with_ends(objects, net)
-    ends = o.select("m", F.col("u").alias("v"), F.col("off").alias("x")).unionByName(o.select("m", "v", (F.col("w") - F.col("off")).alias("x")))
-    return labels.select("q", "v", "d").join(ends, "v").groupBy("q", "m").agg(F.min(F.col("d") + F.col("x")).alias("d_ub"))
+def candidates(labels: DataFrame, objects: DataFrame, net: RoadNetwork, ends: bool = True) -> DataFrame:
+    """``(q, m, eid, off, d_ub)``: objects on roads at reached vertices, once per query, by the better end.
+
+    Without ``ends`` only roads at vertices count that the expansion left: an object whose way to q
+    passes a vertex that lacks q among its k nearest lacks it too. Roads meet the labels first, so the
+    objects are read once and joined by their road alone.
+    """
+    at = labels if ends or "go" not in labels.columns else labels.where("go")
+    e, none = net.edges, F.lit(None).cast("long")
+    by_u = at.select("q", F.col("v").alias("u"), F.col("d").alias("du")).join(e, "u").select("q", "eid", "w", "du", none.alias("dv"))
+    by_v = at.select("q", "v", F.col("d").alias("dv")).join(e, "v").select("q", "eid", "w", none.alias("du"), "dv")
+    roads = by_u.unionByName(by_v).groupBy("q", "eid", "w").agg(F.min("du").alias("du"), F.min("dv").alias("dv"))
+    best = F.least(F.col("du") + F.col("off"), F.col("dv") + F.col("w") - F.col("off"))  # nulls are skipped
+    return objects.select("m", "eid", "off").join(roads, "eid").select("q", "m", "eid", "off", best.alias("d_ub"))
 
 
 def quick_verify(cand: DataFrame, objects: DataFrame, net: RoadNetwork, tree: CountTree, k: int, bound: str = "mbc", count_mode: str = "exact", admissibility: float = 1.0) -> DataFrame:
@@ -29,12 +39,15 @@ def quick_verify(cand: DataFrame, objects: DataFrame, net: RoadNetwork, tree: Co
     than straight lines; both only ever count more.
     """
     wide = 1.000001 / min(1.0, admissibility)
-    at = located(objects, net).select("m", "px", "py")
-    c = cand.join(at, "m").withColumn("r", F.col("d_ub") * F.lit(wide))
-    # equal circles of several queries are counted once; the id is the pair itself
-    circles = c.select(F.struct("q", "m").alias("id"), "px", "py", "r")
-    got = range_count(tree, circles, bound, count_mode).select("id.q", "id.m", "cnt", "nodes")
-    return cand.join(got, ["q", "m"]).withColumn("verdict", F.when(F.col("cnt") <= k, "YES").otherwise("UNKNOWN"))
+    c = cand if "off" in cand.columns else cand.join(objects.select("m", "eid", "off"), "m")
+    e = net.located_edges()
+    part = F.col("off") / F.col("w")
+    c = c.join(e.drop("u", "v"), "eid").select(
+        *(F.col(x) for x in c.columns), (F.col("ux") + (F.col("vx") - F.col("ux")) * part).alias("px"), (F.col("uy") + (F.col("vy") - F.col("uy")) * part).alias("py"),
+        (F.col("d_ub") * F.lit(wide)).alias("r"),
+    )
+    got = range_count(tree, c.withColumn("id", F.struct(*c.columns[:-3])), bound, count_mode)
+    return got.select("id.*", "cnt", "nodes").withColumn("verdict", F.when(F.col("cnt") <= k, "YES").otherwise("UNKNOWN"))
 
 
 @dataclass
@@ -43,6 +56,8 @@ class DistanceCache:
 
     ``have(key, complete_k)`` lists what is complete, ``lists(key, f, d, rk)`` the facilities. A
     facility that a complete list lacks is not among the k nearest, so such a lookup is a hit too.
+    An expansion hands in the lists of vertices that it has met (``take``); ``filled`` counts the
+    searches that the cache itself ran.
     """
 
     net: RoadNetwork
@@ -51,14 +66,31 @@ class DistanceCache:
     ties: str = "by_id"
     key: str = "vertex"
     payload: str = "knn"
+    tiled: TiledNetwork | None = None
     have: DataFrame | None = None
     lists: DataFrame | None = None
     filled: int = 0
     tables: list = field(default_factory=list)
 
+    def _tiled(self) -> TiledNetwork:
+        if self.tiled is None:
+            self.tiled = tile_network(self.net, self.facilities)
+        return self.tiled
+
     def _keys(self, objects: DataFrame) -> DataFrame:
         return objects.select(F.col("m").alias("key")) if self.key == "object" else object_seeds(objects, self.net).select(F.col("v").alias("key"))
 
+    def _add(self, have: DataFrame, lists: DataFrame) -> None:
+        have = have.withColumn("complete_k", F.lit(self.k))
+        self.lists = lists if self.lists is None else self.lists.unionByName(lists)
+        self.have = have if self.have is None else self.have.unionByName(have)
+
+    def take(self, lists: DataFrame) -> None:
+        """Complete ``lists(v, f, d, rk)`` of vertices that the cache does not hold; ignored by a cache of objects."""
+        if self.key == "vertex":
+            named = lists.withColumnRenamed("v", "key")
+            self._add(named.select("key").distinct(), named)
+
     def missing(self, objects: DataFrame) -> DataFrame:
         """Keys of the objects that the cache does not hold yet."""
         keys = self._keys(objects).distinct()
@@ -73,26 +105,33 @@ class DistanceCache:
         """Search the missing keys, all at once; returns how many searches that took."""
         miss = stored(self.missing(objects), "misses")
         n = miss.count()
+        self.tables.append(miss)
         if not n:
             return 0
         if self.key == "object":
-            seeds = object_seeds(objects.join(miss.select(F.col("key").alias("m")), "m", "left_semi"), self.net).select(F.col("m").alias("s"), "v", "d")
+            asked = miss if self.have is None else objects.join(miss.select(F.col("key").alias("m")), "m", "left_semi")
+            sources = object_sources((objects if self.have is None else asked).select("m", F.lit(-1).cast("long").alias("b"), "eid", "off").dropDuplicates(["m"]), self.net)
         else:
-            seeds = miss.select(F.col("key").alias("s"), F.col("key").alias("v"), F.lit(0).cast("long").alias("d"))
-        new = stored(ball_knn(self.net, self.facilities, seeds, self.k, self.ties, self.payload == "full_map").withColumnRenamed("s", "key"), "cache")
-        done = miss.withColumn("complete_k", F.lit(self.k))
-        self.lists = new if self.lists is None else self.lists.unionByName(new)
-        self.have = done if self.have is None else self.have.unionByName(done)
-        self.tables += [miss, new]
+            sources = vertex_sources(miss.select(F.col("key").alias("v")))
+        new = stored(search_sources(self._tiled(), sources, self.k, self.ties, self.payload == "full_map").select(F.col("a").alias("key"), "f", "d", "rk"), "cache")
+        self._add(miss, new)
+        self.tables.append(new)
         self.filled += n
         return n
 
+    def search_pairs(self, pairs: DataFrame) -> DataFrame:
+        """``(q, m, f, d, rk)``: a search of its own for each pair ``(q, m, eid, off)``; nothing is kept."""
+        sources = stored(object_sources(pairs.select("m", F.col("q").alias("b"), "eid", "off"), self.net), "pair-sources")
+        self.tables.append(sources)
+        self.filled += sources.count()
+        return search_sources(self._tiled(), sources, self.k, self.ties).select(F.col("b").alias("q"), F.col("a").alias("m"), "f", "d", "rk")
+
     def lookup(self, objects: DataFrame) -> DataFrame:
         """kNN of the objects ``(m, f, d, rk)`` from complete lists."""
         if self.lists is None:
             return objects.selectExpr("m", "m as f", "m as d", "1 as rk").where("1 = 0")
         if self.key == "object":
-            return objects.select("m").join(self.lists.withColumnRenamed("key", "m"), "m").where(F.col("rk") <= self.k).select("m", "f", "d", "rk")
+            return objects.select("m").distinct().join(self.lists.withColumnRenamed("key", "m"), "m").where(F.col("rk") <= self.k).select("m", "f", "d", "rk")
         return object_knn(objects, self.net, self.lists.where(F.col("rk") <= self.k if self.ties == "by_id" else F.lit(True)).withColumnRenamed("key", "v"), self.k, self.ties)
 
     def export(self) -> DataFrame:
@@ -107,9 +146,24 @@ class DistanceCache:
         self.tables, self.filled = [], 0
 
 
-def exact_membership(unknown: DataFrame, objects: DataFrame, cache: DistanceCache) -> DataFrame:
-    """Of the pairs ``unknown(q, m)``, those in which q is among the k nearest of m, with distance and rank."""
-    asked = objects.join(unknown.select("m").distinct(), "m", "left_semi")
+def object_sources(objects: DataFrame, net: RoadNetwork) -> DataFrame:
+    """Sources of a search for ``objects(m, b, eid, off)``: both ends of each object's road."""
+    o = objects.join(net.edges, "eid")
+    return o.select(F.col("m").alias("a"), "b", F.col("u").alias("v1"), F.col("off").alias("d1"), F.col("v").alias("v2"), (F.col("w") - F.col("off")).alias("d2"))
+
+
+def exact_membership(unknown: DataFrame, objects: DataFrame, cache: DistanceCache, share: bool = True) -> DataFrame:
+    """Of the pairs ``unknown(q, m)``, those in which q is among the k nearest of m, with distance and rank.
+
+    With ``share`` an object is searched at most once whatever the number of its queries, without
+    once for each.
+    """
+    if "off" not in unknown.columns:
+        unknown = unknown.join(objects.select("m", "eid", "off"), "m")
+    if not share:
+        return cache.search_pairs(unknown).where("f = q").select("q", "m", "d", "rk")
+    asked = stored(unknown.select("m", "eid", "off").distinct(), "asked")
+    cache.tables.append(asked)
     cache.fill(asked)
     return unknown.select("q", "m").join(cache.lookup(asked).withColumnRenamed("f", "q"), ["q", "m"]).select("q", "m", "d", "rk")
 

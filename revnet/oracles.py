@@ -61,7 +61,7 @@ _RAW = {
     "orders": "SELECT CAST(o_orderkey AS BIGINT) AS m, (CAST(o_orderkey AS BIGINT) * 48271) % n.n AS a, o_orderkey // n.n AS p, CAST(round(o_totalprice * 100) AS BIGINT) AS z FROM orders, n",
     "events": "SELECT CAST(event_id AS BIGINT) AS m, (CAST(event_id AS BIGINT) * 48271) % n.n AS a, event_id // n.n AS p, CAST(round(value * 100) AS BIGINT) AS z FROM events, n",
     "lineitem": """SELECT m, (m * 48271) % n.n AS a, m // n.n AS p, CAST(round(l_extendedprice * 100) AS BIGINT) AS z
-      FROM (SELECT *, row_number() OVER (ORDER BY l_orderkey, l_linenumber, l_extendedprice, l_partkey, l_suppkey) - 1 AS m FROM lineitem), n""",
+      FROM (SELECT *, (CAST(l_orderkey AS BIGINT) * 8 + l_linenumber) * 64 + row_number() OVER (PARTITION BY l_orderkey, l_linenumber ORDER BY l_extendedprice, l_partkey, l_suppkey) - 1 AS m FROM lineitem), n""",
     "updates": """SELECT CAST(user_id AS BIGINT) AS m, (CAST(user_id AS BIGINT) * 48271 + event_id * 16807) % n.n AS a, event_id // n.n AS p,
       CAST(round(value * 100) AS BIGINT) AS z, ts, CAST(event_id AS BIGINT) AS event_id FROM events, n""",
     "latest": """SELECT m, a, p, z FROM (SELECT *, row_number() OVER (PARTITION BY m ORDER BY ts DESC, event_id DESC) AS rn FROM (
@@ -114,3 +114,16 @@ def prefix(net: str = "thinned", fac: str = "all", objects: str | None = "orders
 
 
 ANSWERS = "answers AS (SELECT q, m, d AS net_dist, rk FROM knn JOIN sites ON q = f)"
+
+
+def candidates_cte(batch: str = "sites", ends: bool = False, k: int = 10) -> str:
+    """``own(q, v, d)``: vertices with a query of the batch among their k nearest; ``tested(q, m, cnt)``: the objects on
+    roads at these, with the facilities in the circle around each that just holds the query by its better end."""
+    return f"""own AS (SELECT f AS q, v, d FROM (SELECT *, row_number() OVER (PARTITION BY v ORDER BY d, f) AS rk FROM dist) JOIN {batch} ON q = f WHERE rk <= {k}),
+roads AS (SELECT q, eid, any_value(w) AS w, min(du) AS du, min(dv) AS dv FROM (
+  SELECT q, eid, w, d AS du, NULL AS dv FROM own JOIN edges e ON e.u = own.v UNION ALL SELECT q, eid, w, NULL, d FROM own JOIN edges e ON e.v = own.v) GROUP BY q, eid),
+held AS (SELECT q, m, eid, off, CAST(least(du + off, dv + w - off) AS DOUBLE) * 1.000001 AS r FROM objects JOIN roads USING (eid)),
+spots AS (SELECT q, m, r, a.x + (b.x - a.x) * (CAST(off AS DOUBLE) / w) AS px, a.y + (b.y - a.y) * (CAST(off AS DOUBLE) / w) AS py
+  FROM held JOIN edges e USING (eid) JOIN vertices a ON a.v = e.u JOIN vertices b ON b.v = e.v),
+celled AS (SELECT *, unnest(generate_series(CAST(floor((px - r) / 4000) AS BIGINT), CAST(floor((px + r) / 4000) AS BIGINT))) AS cx FROM spots),
+tested AS (SELECT q, m, count(f) AS cnt FROM celled JOIN facilities ON x // 4000 = cx AND y BETWEEN py - r AND py + r AND (x - px) * (x - px) + (y - py) * (y - py) <= r * r GROUP BY q, m)"""

@@ -1,4 +1,4 @@
-"""Choice between flooding labels from all facilities and expanding from the queries."""
+"""Choice between labels of all vertices and an expansion from the queries."""
 
 from __future__ import annotations
 
@@ -11,22 +11,30 @@ from ..network import RoadNetwork
 
 @dataclass(frozen=True)
 class PlanChoice:
-    """Chosen plan and the label counts it was chosen by."""
+    """Chosen plan and the work it was chosen by: vertices settled for labels of all vertices, and by the expansion."""
 
     plan: str
-    flood_labels: float
-    expand_labels: float
+    label_work: float
+    expand_work: float
 
 
-def choose_plan(net: RoadNetwork, facilities: DataFrame, queries: DataFrame, k: int, needs_vertex_labels: bool = False) -> PlanChoice:
-    """Estimate the labels of both plans from counts of vertices, facilities and queries.
+def choose_plan(net: RoadNetwork, facilities: DataFrame, queries: DataFrame, k: int, objects: DataFrame | None = None, sizes: tuple[int, int] | None = None) -> PlanChoice:
+    """Estimate the work of the plans from counts of vertices, facilities, queries and objects.
 
-    A flood makes k labels at each vertex. An expansion reaches, from each query, the vertices that
-    have it among their k nearest: about k * n / F of them and a border around. An expansion whose
-    rules need the vertex labels pays for the flood as well.
+    A search for the k nearest facilities settles about k * n / F vertices, and labels of all
+    vertices take n such searches. An expansion reaches, from each query, the vertices that have it
+    among their k nearest, about k * n / F of them and a border around, and searches each distinct
+    one; its candidates are tested one by one. Where labels of all vertices are made, few objects
+    are ranked by them (flood), and more objects than edges meet the intervals of their edges (region).
+    ``sizes`` are the numbers of vertices and facilities, where they are known.
     """
-    n, f, b = net.vertices.count(), max(facilities.count(), 1), queries.count()
-    flood = float(k * n)
+    n, f = sizes or (net.vertices.count(), facilities.count())
+    f, b = max(f, 1), queries.count()
     area = k * n / f
-    expand = b * (area + 4 * area**0.5) * 1.5 + (flood if needs_vertex_labels else 0)
-    return PlanChoice("flood" if flood <= expand else "expand", flood, expand)
+    search = 1 + area
+    label_work = n * search
+    expand_work = min(n, b * (area + 4 * area**0.5)) * search + b * area
+    if expand_work < label_work / 2:
+        return PlanChoice("expand", label_work, expand_work)
+    many = objects is not None and objects.count() > net.edges.count()
+    return PlanChoice("region" if many else "flood", label_work, expand_work)

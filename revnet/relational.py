@@ -10,8 +10,8 @@ from pyspark.sql import functions as F
 from . import oracles as O
 from .functions.geometry import box_bounds2, cells_of_circle, enclosing_circle
 from .operators.distance import located, with_ends
-from .operators.flood import vertex_knn
 from .operators.snapshot import as_of_positions
+from .plans.options import RknnOptions
 from .sources import tables as T
 from .workloads import Setting
 
@@ -210,7 +210,7 @@ def op_grouping_sets(spark, d):
 
 @_query(f"{_A} SELECT q, count(*) FILTER (rk = 1) AS first, count(*) FILTER (rk = 2) AS second, count(*) FILTER (rk = 3) AS third FROM answers WHERE rk <= 3 GROUP BY q")
 def op_pivot_variant(spark, d):
-    p = Setting(spark, d).batch().where("rk <= 3").groupBy("q").pivot("rk", [1, 2, 3]).count().na.fill(0)
+    p = Setting(spark, d).batch(RknnOptions(plan="region", ranks=True)).where("rk <= 3").groupBy("q").pivot("rk", [1, 2, 3]).count().na.fill(0)
     return p.select("q", F.col("1").alias("first"), F.col("2").alias("second"), F.col("3").alias("third"))
 
 
@@ -226,13 +226,13 @@ def op_lead_slack(spark, d):
     s = Setting(spark, d)
     from .operators.flood import object_knn
 
-    near = object_knn(s.objects, s.net, vertex_knn(s.net, s.facilities, 10), 10)
+    near = object_knn(s.objects, s.net, s.labels(), 10)
     return near.select("m", "rk", F.expr("coalesce(lead(d) over (partition by m order by rk) - d, -1L)").alias("gap"))
 
 
 @_query(f"""{_A}, c AS (SELECT rk, count(*) AS n FROM answers GROUP BY rk) SELECT rk, n, coalesce(n * 1000 // lag(n) OVER (ORDER BY rk), -1) AS ratio FROM c""")
 def op_lag_growth(spark, d):
-    c = Setting(spark, d).batch().groupBy("rk").agg(F.count(F.lit(1)).alias("n"))  # k rows
+    c = Setting(spark, d).batch(RknnOptions(plan="region", ranks=True)).groupBy("rk").agg(F.count(F.lit(1)).alias("n"))  # k rows
     return c.select("rk", "n", F.expr("coalesce(n * 1000 div lag(n) over (order by rk), -1L)").alias("ratio"))
 
 
@@ -254,7 +254,7 @@ def op_range_frame(spark, d):
 @_query(f"{O.prefix()} SELECT v, d AS kth FROM (SELECT *, row_number() OVER (PARTITION BY v ORDER BY d, f) AS rk FROM dist) WHERE rk = 10")
 def op_nth_kth_distance(spark, d):
     s = Setting(spark, d)
-    lab = vertex_knn(s.net, s.facilities, 10)
+    lab = s.labels()
     w = Window.partitionBy("v").orderBy("d", "f").rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
     return lab.select("v", F.nth_value("d", 10).over(w).alias("kth")).where("kth is not null").distinct()
 
@@ -335,7 +335,7 @@ def views(spark, d, k: int = 10) -> Setting:
     s = Setting(spark, d)
     for name, df in (("road_vertices", s.net.vertices), ("road_edges", s.net.edges), ("facilities", s.facilities), ("sites", s.sites), ("objects", s.objects)):
         df.createOrReplaceTempView(name)
-    lab = vertex_knn(s.net, s.facilities, k)
+    lab = s.labels(k)
     lab.createOrReplaceTempView("vertex_knn")
     s.batch(vertex_labels=lab).createOrReplaceTempView("rknn_result")
     return s

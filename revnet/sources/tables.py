@@ -50,13 +50,26 @@ def irregular_network(spark: SparkSession, sf_dir: str) -> RoadNetwork:
         F.col("vec_id").cast("long").alias("v"), F.round(F.col("embedding")[0].cast("double") * 100000).cast("long").alias("x"), F.round(F.col("embedding")[1].cast("double") * 100000).cast("long").alias("y")
     )
     near = nearest_points(p, 3)
-    line = p.selectExpr("v as a", "lead(v) over (order by x, v) as b").where("b is not null")
+    line = following(p).select(F.col("v").alias("a"), F.col("next").alias("b"))
     pairs = near.select(F.least("a", "b").alias("u"), F.greatest("a", "b").alias("v")).unionByName(line.select(F.least("a", "b").alias("u"), F.greatest("a", "b").alias("v"))).distinct()
     e = RoadNetwork(p, pairs.selectExpr("u * 1048576 + v as eid", "u", "v", "1L as w")).located_edges()
     length = "greatest(1L, cast(ceil(sqrt(cast(pow(ux - vx, 2) + pow(uy - vy, 2) as double))) as long))"
     return RoadNetwork(p, e.selectExpr("eid", "u", "v", f"{length} as w"))
 
 
+def following(p: DataFrame, strips: int = 1024) -> DataFrame:
+    """``(v, next)``: the vertex after each one in the order of (x, v), found within strips of x and between their ends."""
+    got = p.agg(F.min("x").alias("a"), F.max("x").alias("z")).first()
+    if got.a is None:
+        return p.selectExpr("v", "v as next").where("1 = 0")
+    width = (got.z - got.a) // strips + 1
+    s = p.select("v", "x", F.expr(f"(x - {got.a}) div {width}").alias("strip"))
+    first = s.groupBy("strip").agg(F.min_by("v", F.struct("x", "v")).alias("head"))
+    after = first.selectExpr("strip", "lead(head) over (order by strip) as head")  # one row per strip
+    s = s.withColumn("next", F.expr("lead(v) over (partition by strip order by x, v)")).join(F.broadcast(after), "strip")
+    return s.select("v", F.coalesce("next", "head").alias("next")).where("next is not null")
+
+
 def nearest_points(p: DataFrame, k: int, per_cell: int = 8, max_rounds: int = 40) -> DataFrame:
     """``(a, b)``: each point's ``k`` nearest others of ``p(v, x, y)``, ties by id.
 
@@ -99,6 +112,12 @@ def query_sites(spark: SparkSession, sf_dir: str, n: int, prefix: int | None = N
     return s.select(F.expr(f"(k * 7919) % {n}").alias("q")).distinct()
 
 
+def spread_batch(spark: SparkSession, sf_dir: str, n: int, size: int) -> DataFrame:
+    """``(q)``: up to ``size`` vertices scattered over the ``n`` vertices of the part nets."""
+    p = table(spark, sf_dir, "part").select(F.col("p_partkey").cast("long").alias("k")).where(F.col("k") < size)
+    return p.select(F.expr(f"(k * 7919) % {n}").alias("q")).distinct()
+
+
 def corner_batch(spark: SparkSession, sf_dir: str) -> DataFrame:
     """``(q)``: the vertices of the first 10 by 10 corner of the part grid."""
     _, s = grid_side(spark, sf_dir)
@@ -136,7 +155,9 @@ def moving_objects(spark: SparkSession, sf_dir: str, net: RoadNetwork, kind: str
     """``(m, eid, off)`` of orders, events or lineitem rows; updates also have ``ts`` and ``event_id``."""
     n = n or net.vertices.count()
     if kind == "lineitem":
-        src = table(spark, sf_dir, "lineitem").selectExpr("*", "cast(row_number() over (order by l_orderkey, l_linenumber, l_extendedprice, l_partkey, l_suppkey) - 1 as long) as m")
+        src = table(spark, sf_dir, "lineitem").selectExpr(
+            "*", "cast((cast(l_orderkey as long) * 8 + l_linenumber) * 64 + row_number() over (partition by l_orderkey, l_linenumber order by l_extendedprice, l_partkey, l_suppkey) - 1 as long) as m"
+        )
         rows = src.selectExpr("m", f"(m * 48271) % {n} as a", f"m div {n} as p", "cast(round(l_extendedprice * 100) as long) as z")
     else:
         source, m, anchor, pos, z = _OBJECTS[kind]

@@ -65,14 +65,22 @@ def st_batch_rknn(spark, d):
     return out.join(F.broadcast(last), "batch", "left_semi").select("q", "m", "net_dist")
 
 
+def st_safe_region(spark, d):
+    s = Setting(spark, d)
+    got = S.monitor_safe_regions(S.positions(_events(spark, d), _static(s), s.n), s.net, s.facilities, 3)
+    return got.select("m", "eid", "off", "members")
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (st_tumbling, st_sliding, st_session, st_dedup_late, st_latest_state, st_stream_static, st_stream_stream, st_batch_rknn)}
+    return {f.__name__: f for f in (st_tumbling, st_sliding, st_session, st_dedup_late, st_latest_state, st_stream_static, st_stream_stream, st_batch_rknn, st_safe_region)}
 
 
 def oracle_sql() -> dict[str, str]:
     latest = O.prefix(objects="latest", extra=O.ANSWERS).replace(" WHERE ts <= TIMESTAMP '2024-01-16 00:00:00'", "")
     places = O.prefix(objects="latest", k=None).replace(" WHERE ts <= TIMESTAMP '2024-01-16 00:00:00'", "")
+    sets = O.prefix(objects="latest", k=3).replace(" WHERE ts <= TIMESTAMP '2024-01-16 00:00:00'", "")
     return {
+        "st_safe_region": f"{sets} SELECT m, eid, off, string_agg(CAST(f AS VARCHAR), ',' ORDER BY f) AS members FROM knn JOIN objects USING (m) GROUP BY m, eid, off",
         "st_tumbling": "SELECT CAST(epoch(date_trunc('hour', ts)) AS BIGINT) AS start, count(*) AS updates FROM events GROUP BY 1",
         "st_sliding": """SELECT CAST(epoch(date_trunc('hour', ts)) AS BIGINT) - h * 3600 AS start, event_type, count(*) AS updates
             FROM events, (SELECT unnest([0, 1]) AS h) GROUP BY 1, 2""",

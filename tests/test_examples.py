@@ -86,6 +86,23 @@ def test_one_by_one_equals_batch(spark):
     assert pairs(one_by_one(net, fac, [1, 4], objs, RknnOptions(k=2))) == pairs(batch_rknn(net, fac, q.where("q in (1, 4)"), objs, RknnOptions(k=2)))
 
 
+def test_hop_limit_keeps_true_distances(spark):
+    net, fac, q, objs = example(spark, [(0, 0, 0), (1, 1, 1), (2, 2, 0)], [(1, 0, 1, 2), (2, 0, 2, 10), (12, 1, 2, 2)], [0], [0], [(5, 2, 10)])
+    for quick in (True, False):
+        got = batch_rknn(net, fac, q, objs, RknnOptions(k=1, plan="expand", max_hops=1, quick=quick)).collect()
+        assert [(r.m, r.net_dist) for r in got] == [(5, 4)]
+    assert batch_rknn(net, fac, q, objs, RknnOptions(k=1, plan="expand", max_hops=0)).count() == 1
+    path, f1, q1, o1 = example(spark, [(i, i, 0) for i in range(4)], [(i, i, i + 1, 1) for i in range(3)], [0], [0], [(i, i, 1) for i in range(3)])
+    for hops, want in ((0, {0}), (1, {0, 1}), (2, {0, 1, 2})):
+        assert {m for _, m in pairs(batch_rknn(path, f1, q1, o1, RknnOptions(k=1, plan="expand", max_hops=hops)))} == want
+
+
+def test_exclude_self_asks_facilities(spark):
+    net, fac, q, objs = delivery(spark)
+    for plan in ("auto", "flood"):
+        assert pairs(batch_rknn(net, fac, q, objs, RknnOptions(k=1, plan=plan, exclude_self=True))) == {(2, 1), (1, 2), (1, 4), (4, 3)}
+
+
 def test_monochromatic_drops_itself(spark):
     net, fac, q, _ = delivery(spark)
     assert pairs(monochromatic(net, fac, q, 1)) == {(2, 1), (1, 2), (1, 4), (4, 3)}

@@ -58,6 +58,27 @@ def test_waves_cover_the_batch(spark):
     assert same_answers(parts, whole)
 
 
+def test_streams_go_on_after_a_restart(spark, tmp_path):
+    from pyspark.sql import functions as F
+
+    from revnet.streaming import streams as S
+
+    s, events = Setting(spark, SF), spark.read.parquet(f"{SF}/events.parquet")
+    cut = events.where("event_id % 3 = 0"), events.where("event_id % 3 <> 0")
+    folder, got = f"{tmp_path}/in.parquet", {}
+    for part in cut:
+        part.coalesce(1).write.mode("append").parquet(folder)
+        p = lambda: S.positions(S.read_updates(spark, folder), s.net, s.n)
+        got["rknn"] = S.batch_per_trigger(p(), s.net, s.facilities, s.sites, RknnOptions(k=3, plan="flood"), f"{tmp_path}/rknn")
+        got["safe"] = S.monitor_safe_regions(p(), s.net, s.facilities, 3, f"{tmp_path}/safe")
+    assert S.stored_batches(spark, f"{tmp_path}/rknn/answers") == [0, 1]
+    last = S.snapshot(Setting(spark, SF, obj_kind="updates").objects, "2030-01-01 00:00:00")
+    want = batch_rknn(s.net, s.facilities, s.sites, last, RknnOptions(k=3, plan="flood")).select("q", "m", "net_dist")
+    assert same_answers(got["rknn"].where("batch = 1").select("q", "m", "net_dist"), want)
+    safe = got["safe"].select("m", F.explode(F.split("members", ",")).alias("q")).selectExpr("cast(q as long) q", "m").join(s.sites, "q", "left_semi")
+    assert same_answers(safe, want.select("q", "m")) and got["safe"].agg(F.max("checked")).first()[0] <= 2
+
+
 def test_tiles_equal_flood(spark):
     s = Setting(spark, SF)
     want = vertex_knn(s.net, s.facilities, 4)

@@ -1,5 +1,7 @@
 """Queries on the smallest tables: equality of plans, oracles, counters, plans free of products and row UDFs."""
 
+from dataclasses import replace
+
 import duckdb
 import pandas as pd
 import pytest
@@ -41,7 +43,7 @@ def rows(df: pd.DataFrame) -> list:
     return sorted(map(tuple, df.astype(str).values.tolist()))
 
 
-KEYS = ["objects_placed", "batch_rknn_default", "batch_rknn_ties", "batch_size_sweep", "snapshot_rknn"]
+KEYS = ["objects_placed", "batch_rknn_default", "batch_rknn_expand", "batch_rknn_ties", "batch_size_sweep", "obo_vs_shared_counts", "hop_limited", "networks_region", "rknn_table_function", "snapshot_rknn"]
 
 
 @pytest.mark.parametrize("key", KEYS)
@@ -56,7 +58,7 @@ def test_relational_match_sql(spark, duck, key):
     assert rows(got) == rows(duck.sql(relational.oracle_sql()[key]).df())
 
 
-@pytest.mark.parametrize("key", ["st_session", "st_latest_state", "st_batch_rknn"])
+@pytest.mark.parametrize("key", ["st_session", "st_latest_state", "st_batch_rknn", "st_safe_region"])
 def test_streams_match_sql(spark, duck, key):
     got = streams.queries()[key](spark, SF).toPandas()
     assert rows(got) == rows(duck.sql(streams.oracle_sql()[key]).df())
@@ -65,30 +67,53 @@ def test_streams_match_sql(spark, duck, key):
 def test_variants_agree_and_sharing_saves(setting):
     s, base = setting, None
     stats = {}
-    for name, o in {"flood": RknnOptions(plan="flood"), "shared": RknnOptions(plan="expand"), "single": RknnOptions(plan="expand", share=False), "plain": RknnOptions(plan="expand", quick=False),
-                    "box": RknnOptions(plan="expand", bound="mbr"), "faithful": FAITHFUL}.items():
-        run = run_batch(s.net, s.facilities, s.sites, s.objects, o)
-        got = run.result.select("q", "m", "net_dist")
+    shared = RknnOptions(plan="expand", cache_key="object")
+    for name, o in {"flood": RknnOptions(plan="flood"), "shared": shared, "single": replace(shared, share=False), "plain": replace(shared, quick=False),
+                    "vertex": RknnOptions(plan="expand"), "box": replace(shared, bound="mbr"), "faithful": FAITHFUL}.items():
+        run = s.run(o)
+        got = stored(run.result.select("q", "m", "net_dist"), "answers")
         base = got if base is None else base
         assert same_answers(got, base), name
         if run.candidates is not None:
-            stats[name] = {r.metric: r.value for r in run_stats(run, o.share).collect()}
-    assert stats["shared"]["searches"] <= stats["single"]["searches"]
-    assert stats["shared"]["searches"] <= stats["plain"]["searches"]
+            stats[name] = {r.metric: r.value for r in run_stats(run).collect()}
+            assert run.cache.filled == stats[name]["searches"]
+        run.close()
+    assert stats["shared"]["searches"] < stats["single"]["searches"] == stats["single"]["lookups"]
+    assert stats["shared"]["searches"] == stats["shared"]["lookup_objects"] < stats["plain"]["searches"]
     assert stats["shared"]["searches"] == stats["box"]["searches"]  # exact counts do not depend on the nodes' shape
-    assert stats["single"]["searches"] == stats["single"]["lookups"]
+    assert stats["shared"]["grow_searches"] < stats["single"]["grow_searches"] == stats["single"]["labels"]
+    assert stats["vertex"]["searches"] == 0  # the expansion has met all lists that the exact test needs
+    assert stats["shared"]["candidates"] < stats["faithful"]["candidates"]
+
+
+def test_whole_rows_agree_across_plans(setting):
+    for ties in ("by_id", "inclusive"):
+        runs = [setting.batch(RknnOptions(k=4, plan=p, ties=ties, ranks=True)).select("q", "m", "net_dist", "rk") for p in ("flood", "region", "expand")]
+        assert same_answers(runs[0], runs[1]) and same_answers(runs[0], runs[2])
+
+
+def test_searches_too_wide_for_tasks_go_on_in_rounds(setting, monkeypatch):
+    from revnet.operators import halo
+
+    s = setting
+    want = s.batch(RknnOptions(k=3, plan="flood"))
+    monkeypatch.setattr(halo, "REGION_LIMIT", 1)
+    monkeypatch.setattr(halo.TiledNetwork, "first_halo", lambda self, k: 1500)
+    tight = halo.tile_network(s.net, s.facilities, 16)
+    for o in (RknnOptions(k=3, plan="expand"), RknnOptions(k=3, plan="expand", cache_key="object")):
+        assert same_answers(run_batch(s.net, s.facilities, s.sites, s.objects, o, tiled=tight).result, want)
+    assert same_answers(halo.halo_knn(tight, 3).select("v", "f", "d", "rk"), vertex_knn(s.net, s.facilities, 3))
 
 
 def test_baselines_agree(setting):
     s = setting
-    base = run_batch(s.net, s.facilities, s.sites, s.objects, RknnOptions(k=3, plan="flood")).result.select("q", "m", "net_dist")
+    base = s.batch(RknnOptions(k=3, plan="flood"))
     for got in (
         B.naive_rknn(s.net, s.facilities, s.sites, s.objects, 3), B.eager_expand_rknn(s.net, s.facilities, s.sites, s.objects, 3),
-        B.hub_rknn(s.net, B.build_hub_labels(s.net, 32), s.facilities, s.sites, s.objects, 3), B.shortcut_rknn(s.net, B.grid_cells(s.net, 5000), s.facilities, s.sites, s.objects, 3),
+        B.hub_rknn(s.net, B.build_hub_labels(s.net, 32), s.facilities, s.sites, s.objects, 3), B.hub_rknn(s.net, B.build_hub_labels(s.net, 32, 80), s.facilities, s.sites, s.objects, 3),
+        B.shortcut_rknn(s.net, [B.grid_cells(s.net, 3000), B.grid_cells(s.net, 6000)], s.facilities, s.sites, s.objects, 3),
     ):
         assert same_answers(got.select("q", "m", "net_dist"), base)
-    low, high = B.two_level_shortcuts(s.net, 4000, 2)
-    assert low.count() > 0 and high.count() > 0
 
 
 def test_circle_counts_bound_ranks(setting):
@@ -117,6 +142,7 @@ def test_quick_reject_is_sound(setting):
     marks = network_distance(s.net, s.net.vertices.where("v % 60 = 0").selectExpr("v as s", "v", "0L as d"))
     marks = stored(marks, "marks")
     cand = stored(cand, "cand")
+    cand = cand.select("q", "m")
     out = quick_reject(cand, s.objects, s.net, marks, s.facilities, 3)
     true = run_batch(s.net, s.facilities, s.sites, s.objects, RknnOptions(k=3, plan="flood")).result
     assert out.join(true, ["q", "m"], "left_semi").isEmpty()
@@ -146,6 +172,7 @@ def test_planner_prefers_floods_for_wide_batches(setting):
     s = setting
     assert choose_plan(s.net, s.facilities, s.facilities.selectExpr("f as q"), 10).plan == "flood"
     assert choose_plan(s.net, s.facilities, s.sites.limit(1), 2).plan == "expand"
+    assert choose_plan(s.net, s.facilities, s.facilities.selectExpr("f as q"), 10, s.objects).plan == "region"
 
 
 def test_growth_ratios(spark):
