@@ -1,8 +1,10 @@
 """Quality classifier by co-training of two views: text content and page metadata.
 
-Each view is a logistic regression. Over several rounds each labels the unlabelled pool, and its
-confident labels join the other view's training set. At the end both views are calibrated on
-held-back labels and combined into one probability, with which every document is scored.
+Each view is a logistic regression. In every round each labels the unlabelled pool, and the labels it
+is surest of, of both classes, join the other view's training set, with weights that fall to zero as
+its calibrated probability nears a toss-up; so a weak view teaches too, but little. At the end both
+views are calibrated on held-back labels and combined into one probability, with which every
+document is scored.
 """
 
 from __future__ import annotations
@@ -115,23 +117,45 @@ class CoTrained:
         return pc, pm, sigmoid(both)
 
 
-def co_train(c: np.ndarray, m: np.ndarray, y: np.ndarray, pool_c: np.ndarray, pool_m: np.ndarray, rounds: int = 4, sure: float = 0.98, most: int = 500) -> CoTrained:
+def surest(p: np.ndarray, taken: dict[int, float], most: int) -> list[tuple[int, float]]:
+    """``(row, label)`` of the up to ``most`` rows surest of each class that are not ``taken``, from probabilities of 1.
+
+    Shares of the classes follow the probabilities' own: a class gets ``most`` times its mean
+    probability over that of the commoner class, one at least. Ties go to earlier rows; a row gets one label.
+    """
+    free = np.array([i for i in range(len(p)) if i not in taken], np.int64)
+    if not len(free):
+        return []
+    mean = float(np.clip(p.mean(), 1e-6, 1 - 1e-6))
+    out: list[tuple[int, float]] = []
+    used: set[int] = set()
+    for label, conf, own in ((1.0, p, mean), (0.0, 1 - p, 1 - mean)):
+        n = max(1, round(most * own / max(mean, 1 - mean)))
+        order = free[np.argsort(-conf[free], kind="stable")]
+        picked = [i for i in order.tolist() if i not in used][:n]
+        used.update(picked)
+        out += [(i, label) for i in picked]
+    return out
+
+
+def co_train(c: np.ndarray, m: np.ndarray, y: np.ndarray, pool_c: np.ndarray, pool_m: np.ndarray, rounds: int = 4, most: int = 250) -> CoTrained:
     """Co-train from labelled rows and an unlabelled pool; every fifth labelled row is held back to calibrate.
 
-    A view's label counts as confident if its calibrated probability reaches ``sure`` for either
-    class; at most ``most`` of each class go to the other view in a round, the surest first.
+    In each round each view hands the other the up to ``most`` rows of the commoner class and its
+    share of the other of which it is surest (see ``surest``), with half the calibrated margin as weight.
     """
     held = np.arange(len(y)) % 5 == 4
     views, pools = (c, m), (pool_c, pool_m)
-    given: list[dict[int, float]] = [{}, {}]  # pseudo-labels that each view has been given
+    given: list[dict[int, tuple[float, float]]] = [{}, {}]  # labels and weights that each view has been given
     log, fits = [], []
     for r in range(rounds + 1):
         fits, cal = [], []
         for v in (0, 1):
             idx = np.fromiter(given[v], np.int64, len(given[v]))
+            extra = np.array(list(given[v].values()), np.float64).reshape(-1, 2)
             x = np.concatenate([views[v][~held], pools[v][idx]])
-            t = np.concatenate([y[~held], np.fromiter(given[v].values(), np.float64, len(idx))])
-            w = np.concatenate([np.ones(int((~held).sum())), np.full(len(idx), 0.5)])
+            t = np.concatenate([y[~held], extra[:, 0]])
+            w = np.concatenate([np.ones(int((~held).sum())), extra[:, 1]])
             fits.append(fit_logistic(x, t, w.astype(np.float32)))
             cal.append(fit_calibration(views[v][held] @ fits[v][0] + fits[v][1], y[held]) if held.any() else (np.ones(1, np.float32), 0.0))
         if r == rounds:
@@ -140,14 +164,9 @@ def co_train(c: np.ndarray, m: np.ndarray, y: np.ndarray, pool_c: np.ndarray, po
         for v in (0, 1):
             z = np.clip(pools[v] @ fits[v][0] + fits[v][1], -15, 15)
             p = sigmoid(z * cal[v][0][0] + cal[v][1])
-            other = given[1 - v]
-            n = 0
-            for label, conf in ((1.0, p), (0.0, 1 - p)):
-                picked = np.argsort(-conf, kind="stable")[: most + len(other)]
-                for i in [i for i in picked.tolist() if conf[i] >= sure and i not in other][:most]:
-                    other[i] = label
-                    n += 1
-            passed.append(n)
+            new = surest(p, given[1 - v], most)
+            given[1 - v].update({i: (label, 0.5 * max(0.0, 2 * float(p[i] if label else 1 - p[i]) - 1)) for i, label in new})
+            passed.append(len(new))
         log.append({"round": r, "content_to_metadata": passed[0], "metadata_to_content": passed[1]})
     z = np.stack([v[held] @ w + b for v, (w, b) in zip(views, fits, strict=True)], 1) if held.any() else np.zeros((0, 2))
     combine = fit_calibration(z, y[held]) if held.any() else (np.ones(2, np.float32), 0.0)
@@ -155,9 +174,10 @@ def co_train(c: np.ndarray, m: np.ndarray, y: np.ndarray, pool_c: np.ndarray, po
 
 
 def fit(docs: DataFrame, labels: DataFrame, use: Column | None = None, max_rows: int = 5000, pool_rows: int = 3000, max_bytes: int = 400_000, rounds: int = 4, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality") -> CoTrained:
-    """Fit on at most ``max_rows`` labelled rows and ``pool_rows`` unlabelled ones, chosen by id hash.
+    """Fit on at most ``max_rows`` labelled rows and ``pool_rows`` unlabelled ones, chosen by id hash, of texts up to ``max_bytes``.
 
-    Without any label the model answers 0.5 throughout.
+    Without any label, as with an empty table, the model answers 0.5 throughout; without unlabelled
+    rows the views stay apart until they are combined.
     """
     cols = [F.col(text_col).alias("_text"), *(F.col(x).alias(f"_{x}") for x in ("lang", "source", "n_chars"))]
     use = F.lit(True) if use is None else use
@@ -194,8 +214,9 @@ def _featured(rows: DataFrame) -> DataFrame:
 def scored(docs: DataFrame, model: CoTrained, cut: float = 0.5, text_col: str = "text", keep: list[str] | None = None, prefix: str = "") -> DataFrame:
     """``docs`` (or its columns ``keep``) with content_score, metadata_score, score and keep, named after ``prefix``.
 
-    Scores are calibrated probabilities of quality 1; ``keep`` holds from ``cut`` on. Null or empty
-    texts and null metadata are features of their own. Repeated rows repeat.
+    Scores are calibrated probabilities of quality 1; ``keep`` holds from ``cut`` on, a score of just
+    ``cut`` included. Null or empty texts and null metadata are features of their own. Repeated rows
+    repeat, an empty table gives an empty result.
     """
     sent = docs.sparkSession.sparkContext.broadcast(model)
 

@@ -146,9 +146,29 @@ def test_views_teach_each_other():
     y = (r.random(n) < 0.5).astype(float)
     c = (y[:, None] * 2 - 1 + r.normal(0, 0.6, (n, 4))).astype(np.float32)
     m = (y[:, None] * 2 - 1 + r.normal(0, 0.6, (n, 3))).astype(np.float32)
-    got = cotraining.co_train(c[:60], m[:60], y[:60], c[60:900], m[60:900], rounds=3, sure=0.9)
-    assert sum(x["content_to_metadata"] + x["metadata_to_content"] for x in got.log) > 100
+    got = cotraining.co_train(c[:60], m[:60], y[:60], c[60:900], m[60:900], rounds=3, most=40)
+    assert len(got.log) == 3 and all(x["content_to_metadata"] > 40 and x["metadata_to_content"] > 40 for x in got.log)
+    z = m[900:] @ got.metadata[0]
     assert ((got.score(c[900:], m[900:])[2] >= 0.5) == (y[900:] == 1)).mean() > 0.97
+    alone = cotraining.co_train(c[:60], m[:60], y[:60], c[:0], m[:0], rounds=0)
+    assert ((z > 0) == y[900:]).mean() > 0.9 and ((got.score(c[900:], m[900:])[2] > 0.5) == y[900:]).mean() >= ((alone.score(c[900:], m[900:])[2] > 0.5) == y[900:]).mean() - 0.02
+
+
+def test_a_rounds_choice_equals_brute_force():
+    r = np.random.default_rng(4)
+    for n, most in ((0, 3), (1, 1), (50, 7), (200, 30)):
+        p = r.integers(0, 20, n) / 20  # with ties
+        taken = {int(i): 1.0 for i in r.integers(0, max(n, 1), n // 5)}
+        got = cotraining.surest(p, taken, most)
+        free = [i for i in range(n) if i not in taken]
+        mean = min(max(p.mean(), 1e-6), 1 - 1e-6) if n else 0.5
+        want, used = [], set()
+        for label, key, own in ((1.0, lambda i: (-p[i], i), mean), (0.0, lambda i: (p[i], i), 1 - mean)):
+            size = max(1, round(most * own / max(mean, 1 - mean)))
+            best = [i for i in sorted(free, key=key) if i not in used][:size]
+            used.update(best)
+            want += [(i, label) for i in best]
+        assert got == want
 
 
 def vectors(spark):
