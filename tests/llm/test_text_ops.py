@@ -2,8 +2,10 @@
 
 import hashlib
 import json
+import math
 import random
 import zlib
+from pathlib import Path
 
 import duckdb
 import numpy as np
@@ -243,6 +245,21 @@ def test_licences(spark, edge):
     got = {r.doc_id: (r.whole_licence, r.licences, r.n_lines) for r in licences.scan(docs).collect()}
     assert got[1][0] == "MIT" and got[2] == (None, ["MIT"], 1) and got[3] == got[4] == (None, [], 0) and got[5][0] is None
     assert licences.scan(edge).count() == len(EDGE) and licences.scan(edge.limit(0)).count() == 0
+    again = docs.union(docs.where("doc_id = 2")).union(spark.createDataFrame([(None, "Released under the MIT License.")], "doc_id long, text string"))
+    more = [(r.doc_id, r.whole_licence, r.n_lines) for r in licences.scan(again, broadcast_rows=0).collect()]
+    assert more.count((2, None, 1)) == 2 and more.count((None, "MIT", 1)) == 1
+    two = spark.createDataFrame([(d, x) for d, _, _ in licences.known_digests([("A", "text", "shared words")]) for x in ("B", "A")], "digest string, licence string")
+    assert licences.scan(spark.createDataFrame([(1, "Shared, words\nother")], "doc_id long, text string"), two).first().licences == ["A", "B"]
+
+
+def test_full_licence_texts(spark):
+    folder = Path("/usr/share/common-licenses")
+    if not (folder / "GPL-3").exists():
+        pytest.skip("no licence texts here")
+    texts = [(i, (folder / f).read_text(encoding="utf-8")) for i, f in enumerate(("GPL-3", "Apache-2.0", "MPL-2.0", "LGPL-2.1"))]
+    odd = [(i, "Copyright 2020 Somebody\n" + t.upper().replace(",", " ;")) for i, t in texts]
+    got = {r.doc_id: r.whole_licence for r in licences.scan(spark.createDataFrame(odd, "doc_id long, text string")).collect()}
+    assert got == {0: "GPL-3.0", 1: "Apache-2.0", 2: "MPL-2.0", 3: "LGPL-2.1"}
 
 
 PAGE = (
@@ -266,5 +283,54 @@ def test_repeated_branches_go(spark):
     assert {r.text for r in site_style_tree.extract(copies).collect()} == {"A whole page copied."}
 
 
+def test_importances_equal_brute_force(spark):
+    r = random.Random(3)
+    body = lambda i: "<body>" + "".join(f"<div class='{c}'>{t}</div>" for c, t in (("a", "<ul>" + "<li>one</li><li>two</li>" * r.randint(1, 2) + "</ul>"), ("b", r.choice(["x", "y"])), ("c", f"<p>own {i}</p><p>{r.choice('uv')}</p>tail"))[: r.randint(1, 3)]) + "</body>"
+    pages = sorted({body(i) for i in range(24)})  # copies would count as one
+    seen: dict = {}
+    for page in pages:
+        for x in {(k, p, v, t) for k, p, _, v, t in site_style_tree.merged_places(site_style_tree.parse(page))}:
+            seen[x] = seen.get(x, 0) + 1
+
+    def value(place):
+        m = math.log(next(n for (k, p, _, _), n in seen.items() if (k, p) == ("n", place)) + site_style_tree.PRIOR)
+        own = [n for (k, p, _, _), n in seen.items() if (k, p) == ("c", place)]
+        leaf = 1 - (sum(n * math.log(n) for n in own) / sum(own) if own else 0) / m
+        styles = {v: n for (k, p, v, _), n in seen.items() if (k, p) == ("s", place)}
+        if not styles:
+            return leaf
+        total, mean = sum(styles.values()), 0.0
+        for style, n in styles.items():
+            kids = {p for (k, p, v, _) in seen if k == "n" and v == style}
+            mean += n / total * (sum(map(value, kids)) / len(kids) if kids else leaf)
+        g = site_style_tree.GAMMA ** len(styles)
+        return (1 - g) * (-sum(n / total * math.log(n / total) for n in styles.values()) / m) + g * mean
+
+    df = spark.createDataFrame([(f"http://h.org/{i}", x) for i, x in enumerate(pages)], "url string, html string")
+    got = {x.place: x.importance for x in site_style_tree.importances(site_style_tree.style_trees(df)).collect()}
+    assert len(got) > 8 and all(got[p] == pytest.approx(value(p), abs=1e-5) for p in got)
+
+
+def test_pages_of_any_shape(spark):
+    deep = "<div>" * 100_000 + "<p>far down</p>" + "</div>" * 100_000
+    long_ = "<article>" + "<p>some words</p>" * 20_000 + "</article>"
+    rows = [(1, "http://h.org/1", deep, "a", "b", 7), (2, "http://h.org/2", long_, "a", "b", 7), (2, "http://h.org/2", long_, "a", "b", 7), (3, None, None, None, None, None)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string, host string, drop string, n long")
+    got = sorted(site_style_tree.extract(df).collect(), key=lambda r: r.page_id)
+    assert [r.text for r in got] == ["far down", "\n".join(["some words"] * 20_000), "\n".join(["some words"] * 20_000), ""]
+    assert got[0].host == "a" and got[0].drop == "b" and got[0].n == 7 and got[3].n_chars == 0
+    assert site_style_tree.extract(df.limit(0)).count() == 0
+
+
+def test_repeated_lines_go_and_headlines_stay(spark):
+    page = lambda i: f"<body><div class='top'>Notice: <div>we use things</div></div><div class='m'><a>Home</a> <ul><li>News</li><li>Mail</li></ul></div><article><h1>Same head</h1><p>text {i} of its own</p><div>Read all about it</div></article></body>"
+    rows = [(i, f"http://h.org/{i}", page(i)) for i in range(30)] + [(99, "http://lone.org/", page(99))]
+    got = {r.page_id: r.text for r in site_style_tree.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert got[4] == "Same head\ntext 4 of its own" and got[99] == "Same head\ntext 99 of its own\nRead all about it"
+    plain = [(i, f"http://p.org/{i}", f"<body><div class='x'>Notice: <div>we use things</div></div><div><p>text {i}</p></div></body>") for i in range(30)]
+    got = {r.page_id: r.text for r in site_style_tree.extract(spark.createDataFrame(plain, "page_id long, url string, html string")).collect()}
+    assert got[4] == "text 4"
+
+
 def test_tables_have_integer_ids(spark):
     assert json.dumps(zlib.crc32(b"1")) == str(spark.sql("select crc32(cast('1' as binary)) c").first().c)
