@@ -15,9 +15,15 @@ _CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a folder of our own only where none is set."""
+    """The folder that driver and executors share.
+
+    Where none is set, a folder of our own if all tasks run in this process (as in tests); on a
+    cluster, whose executors could not read it, an error.
+    """
     given = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not given:
+        if spark.sparkContext.master.split("[")[0] != "local":
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         given = tempfile.mkdtemp(prefix="revnet-shared-")
         spark.sparkContext.setCheckpointDir(given)
     return given.rstrip("/")
