@@ -43,22 +43,28 @@ def test_packing():
     assert (ngram_lm._undeltas(ngram_lm._deltas(k)) == k).all()
 
 
-def brute(train, text):
+def brute(train, text, least=1):
     """The model's log10 probability by dictionaries, without quantisation."""
     seqs = [[b"", *ngram_lm.words_of(t.encode()), b""] for t in train]
     c = Counter(w for s in seqs for w in s[1:])
-    total, kept = sum(c.values()), {w for w, n in c.items() if n >= 2} | {b""}
+    total, kept = sum(c.values()), {w for w, n in c.items() if n >= least} | {b""}
     rare = sum(n for w, n in c.items() if w not in kept)
     rare_types = sum(w not in kept for w in c)
     m = lambda w: w if w in kept else None
-    uni = lambda w: (c[w] if w is not None else rare + 0.5) / (total + 0.5)
+    cc = Counter(c.values())
+    off1 = ngram_lm.absolute_discounts(*(cc[i] for i in (1, 2, 3, 4)))
+    left1 = sum(off1[min(n, 3)] for n in c.values()) / total / (len(c) + 1)
+    if rare_types:
+        uni = lambda w: (c[w] if w is not None else rare + 0.5) / (total + 0.5)
+    else:
+        uni = lambda w: ((c[w] - off1[min(c[w], 3)]) / total if w is not None else 0) + left1
     two = Counter((m(s[i]), m(s[i + 1])) for s in seqs for i in range(len(s) - 1) if m(s[i]) is not None and m(s[i + 1]) is not None)
     of = Counter(two.values())
     y = of[1] / (of[1] + 2 * of[2]) if of[1] + of[2] else 0.5
     off = [0.0] + [float(np.clip(i - (i + 1) * y * of[i + 1] / of[i] if of[i] else 0.5 * i, 0.05, i - 0.05)) for i in (1, 2, 3)]
-    two = {k: n for k, n in two.items() if n >= 2}
+    two = {k: n for k, n in two.items() if n >= least}
     three = Counter((m(s[i]), m(s[i + 1]), m(s[i + 2])) for s in seqs for i in range(len(s) - 2))
-    three = {k: n for k, n in three.items() if n >= 2 and None not in k}
+    three = {k: n for k, n in three.items() if n >= least and None not in k}
 
     def p2(b, w):
         left = max(1 - sum((n - off[min(n, 3)]) / c[b] for (x, _), n in two.items() if x == b), 1e-9) if b is not None else 1.0
@@ -89,7 +95,8 @@ def test_ngram_scores_equal_brute_force(spark):
     train = [t for i, t in enumerate(texts) if zlib.crc32(str(i).encode()) % 5 != 1]
     use = ngram_lm.fold(F.col("doc_id"), 5) != 1
     got = {x.doc_id: x for x in ngram_lm.score_documents(docs, use).collect()}
-    other = {x.doc_id: x.score for x in ngram_lm.score_documents(docs, use, broadcast_bytes=-1).collect()}
+    other = {x.doc_id: x.score for x in ngram_lm.score_documents(docs, use, mapped_bytes=-1, bucket_tokens=50).collect()}
+    rarer = {x.doc_id: x.score for x in ngram_lm.score_documents(docs, use, least=2).collect()}
     c = Counter(w for t in train for w in [*ngram_lm.words_of(t.encode()), b""])
     n, v = sum(c.values()), len(c)
     for i, t in enumerate(texts):
@@ -97,6 +104,7 @@ def test_ngram_scores_equal_brute_force(spark):
         assert got[i].base_score == pytest.approx(sum(math.log10((c[w] + 0.5) / (n + 0.5 * (v + 1))) for w in words))
         assert got[i].n_tokens == len(words) and got[i].n_known == sum(c[w] > 0 for w in words) and got[i].train_tokens == n
         assert got[i].score == pytest.approx(brute(train, t), abs=1e-3 * len(words)) and other[i] == pytest.approx(got[i].score)
+        assert rarer[i] == pytest.approx(brute(train, t, 2), abs=1e-3 * len(words))
 
 
 def test_ngram_edges(spark):
@@ -246,7 +254,7 @@ def test_large_word_tables_are_joined(spark, monkeypatch, common):
     use = ngram_lm.fold(F.col("doc_id"), 5) != 1
     want = sorted(tuple(x) for x in ngram_lm.score_documents(docs, use).collect())
     for limit in (400_000_000, -1):
-        got = sorted(tuple(x) for x in ngram_lm.score_documents(docs, use, broadcast_words=2, broadcast_bytes=limit, narrow=0).collect())
+        got = sorted(tuple(x) for x in ngram_lm.score_documents(docs, use, broadcast_words=2, mapped_bytes=limit, narrow=0).collect())
         assert len(got) == len(want) and all(x == pytest.approx(y) for x, y in zip(got, want, strict=True))
     none = ngram_lm.score_documents(docs, F.lit(False), broadcast_words=-1).collect()
     assert len(none) == len(texts) + 1 and all(x.n_known == 0 and x.train_tokens == 0 for x in none)
