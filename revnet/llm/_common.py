@@ -29,8 +29,8 @@ def shared_dir(spark: SparkSession) -> str:
     return given.rstrip("/")
 
 
-def materialize(df: DataFrame, label: str) -> DataFrame:
-    """Write ``df`` as Parquet in the shared folder and read it back.
+def materialize(df: DataFrame, label: str, by: str | None = None) -> DataFrame:
+    """Write ``df`` as Parquet in the shared folder, in folders by a column if one is named, and read it back.
 
     Lineage ends at the written table, so a lost executor costs at most the tasks that it ran.
     Shuffle files of this execution are not used again and are removed when it ends.
@@ -40,7 +40,7 @@ def materialize(df: DataFrame, label: str) -> DataFrame:
     before = spark.conf.get(_CLEANUP, "false")
     try:
         spark.conf.set(_CLEANUP, "true")
-        df.write.parquet(path)
+        (df.write.partitionBy(by) if by else df.write).parquet(path)
     finally:
         spark.conf.set(_CLEANUP, before)
     out = spark.read.schema(df.schema).parquet(path)
@@ -48,10 +48,11 @@ def materialize(df: DataFrame, label: str) -> DataFrame:
     return out
 
 
-def discard(df: DataFrame) -> None:
-    """Delete the table behind a frame that ``materialize`` returned, once it is no longer read."""
+def discard(df: DataFrame, part: str = "") -> None:
+    """Delete the table behind a frame that ``materialize`` returned, or one folder of it, once it is no longer read."""
     path = getattr(df, "_revnet_path", None)
     if path:
+        path = f"{path}/{part}" if part else path
         spark = df.sparkSession
         jpath = spark._jvm.org.apache.hadoop.fs.Path(path)
         jpath.getFileSystem(spark._jsc.hadoopConfiguration()).delete(jpath, True)
