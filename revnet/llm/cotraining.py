@@ -138,12 +138,14 @@ def surest(p: np.ndarray, taken: dict[int, float], most: int) -> list[tuple[int,
     return out
 
 
-def co_train(c: np.ndarray, m: np.ndarray, y: np.ndarray, pool_c: np.ndarray, pool_m: np.ndarray, rounds: int = 4, most: int = 250) -> CoTrained:
+def co_train(c: np.ndarray, m: np.ndarray, y: np.ndarray, pool_c: np.ndarray, pool_m: np.ndarray, rounds: int = 4, most: int | None = None) -> CoTrained:
     """Co-train from labelled rows and an unlabelled pool; every fifth labelled row is held back to calibrate.
 
     In each round each view hands the other the up to ``most`` rows of the commoner class and its
     share of the other of which it is surest (see ``surest``), with half the calibrated margin as weight.
+    By default ``most`` is what lets the pool last for all rounds.
     """
+    most = most or max(1, len(pool_c) // (2 * max(1, rounds)))
     held = np.arange(len(y)) % 5 == 4
     views, pools = (c, m), (pool_c, pool_m)
     given: list[dict[int, tuple[float, float]]] = [{}, {}]  # labels and weights that each view has been given
