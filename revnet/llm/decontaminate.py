@@ -39,14 +39,17 @@ def vocabulary(items: DataFrame, text_col: str = "text") -> DataFrame:
     return terms.selectExpr("term", "cast(row_number() over (order by term) - 1 as int) term_id")
 
 
-def build_index(docs: DataFrame, vocab: DataFrame, id_col: str = "doc_id", text_col: str = "text", broadcast_rows: int = 1_000_000) -> DataFrame:
+def build_index(docs: DataFrame, vocab: DataFrame, id_col: str = "doc_id", text_col: str = "text", broadcast_rows: int = 1_000_000, carry: str | None = None) -> DataFrame:
     """Positional postings of the vocabulary's terms in all documents, stored: ``(doc_id, pos, term_id)``.
 
     Each row of ``docs`` adds a closing row with ``term_id`` -1 and its number of words as position.
+    The closing rows keep the column named by ``carry`` as ``carried``; it is null in the others.
     """
+    kept = [] if carry is None else [F.col(carry).alias("carried")]
     lookup = vocab.unionByName(vocab.sparkSession.createDataFrame([("", END)], "term string, term_id int"))
-    tokens = docs.select(F.col(id_col).alias("doc_id"), F.posexplode(F.concat(words_of(F.col(text_col)), F.array(F.lit("")))).alias("pos", "term"))
-    return materialize(tokens.join(_sized(lookup, broadcast_rows), "term").select("doc_id", "pos", "term_id"), "postings")
+    tokens = docs.select(F.col(id_col).alias("doc_id"), *kept, F.posexplode(F.concat(words_of(F.col(text_col)), F.array(F.lit("")))).alias("pos", "term"))
+    only = [F.when(F.col("term_id") == END, F.col("carried")).alias("carried")] if kept else []
+    return materialize(tokens.join(_sized(lookup, broadcast_rows), "term").select("doc_id", "pos", "term_id", *only), "postings")
 
 
 def item_windows(items: DataFrame, vocab: DataFrame, width: int = 13, id_col: str = "item_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
@@ -71,7 +74,7 @@ def phrase_matches(index: DataFrame, windows: DataFrame, rarest: int = 3, broadc
     ranked = ranked.where("present = len").select("wid", "off", "term_id", "len", "rk").cache()
     first = ranked.where(F.col("rk") <= rarest).select("wid", "off", "term_id", "len")
     lists = index.join(_sized(first, broadcast_rows), "term_id").select("doc_id", "wid", (F.col("pos") - F.col("off")).alias("start"), "len")
-    # repeated rows of a document repeat their postings, so this count only preselects: every offset is verified below
+    # repeated ids repeat their postings, so this count only preselects: every offset is verified below
     met = lists.where("start >= 0").groupBy("doc_id", "wid", "start").agg(F.count(F.lit(1)).alias("n"), F.first("len").alias("len"))
     met = materialize(met.where(F.col("n") >= F.least("len", F.lit(rarest))).select("doc_id", "wid", "start", "len"), "phrase-candidates")
     need = met.join(ranked.select("wid", "off", "term_id"), "wid").select("doc_id", "wid", "start", (F.col("start") + F.col("off")).alias("pos"), "term_id")
@@ -108,12 +111,14 @@ def contamination(docs: DataFrame, items: DataFrame, width: int = 13, share: int
 
     A document is contaminated if words are hit and ``share`` times their number reaches all its
     words. Null and empty texts have no words and are clean; items without words have no windows;
-    repeated rows repeat their results; ids are taken as they are, null ids never match. Either
+    every row is judged by its own text, whether its id is repeated or null; null item ids are not listed. Either
     table may be empty. Other columns are ignored.
     """
+    # rows are told apart by a number of their own, which is stored with the postings it was made for
+    docs = docs.select(F.monotonically_increasing_id().alias("row"), F.col(id_col).alias("id"), F.col(text_col).alias("text"))
     items = items.select(F.col(item_col).alias("item_id"), F.col(item_text).alias("text"))
     vocab = materialize(vocabulary(items), "vocabulary")
-    index = build_index(docs, vocab, id_col, text_col)
+    index = build_index(docs, vocab, "row", "text", carry="id")
     windows, owners = item_windows(items, vocab, width)
     occ = materialize(phrase_matches(index, windows), "occurrences")
     before = "max(start + len) over (partition by doc_id order by start, len, wid rows between unbounded preceding and 1 preceding)"
@@ -121,12 +126,12 @@ def contamination(docs: DataFrame, items: DataFrame, width: int = 13, share: int
     hit = fresh.groupBy("doc_id").agg(F.sum("fresh").alias("n_hit"))
     ids = occ.select("doc_id", "wid").distinct().join(_sized(owners, 1_000_000), "wid").select("doc_id", "item_id").where("item_id is not null").distinct()
     met = ids.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n_items"), F.concat_ws(",", F.array_sort(F.collect_list(F.col("item_id").cast("string")))).alias("items"))
-    rows = index.where(f"term_id = {END}").select("doc_id", F.col("pos").cast("long").alias("n_words"))
+    rows = index.where(f"term_id = {END}").select("doc_id", "carried", F.col("pos").cast("long").alias("n_words"))
     found = hit.join(met, "doc_id", "left")
     out = rows.join(_sized(found, 1_000_000), "doc_id", "left")
     n_hit = F.coalesce("n_hit", F.lit(0)).cast("long")
     return out.select(
-        F.col("doc_id").alias(id_col), "n_words", n_hit.alias("n_hit"), F.coalesce("n_items", F.lit(0)).cast("long").alias("n_items"),
+        F.col("carried").alias(id_col), "n_words", n_hit.alias("n_hit"), F.coalesce("n_items", F.lit(0)).cast("long").alias("n_items"),
         F.coalesce("items", F.lit("")).alias("items"), ((n_hit > 0) & (share * n_hit >= F.col("n_words"))).alias("contaminated"),
     )
 

@@ -10,6 +10,7 @@ from pathlib import Path
 import duckdb
 import numpy as np
 import pandas as pd
+import pyarrow.parquet as pq
 import pytest
 import xxhash
 from hypothesis import given, settings
@@ -164,18 +165,20 @@ def test_contamination_matches_sql_on_fixtures(spark, tmp_path):
     docs = [
         (1, " ".join(w)), (2, "a " * 100 + " ".join(w[3:16])), (3, None), (4, ""), (5, "KURZ, und-gut!"), (6, " ".join(w[:12])), (7, "x " + " ".join(w[5:25]) + " y " + " ".join(w[5:25])),
         (8, "émile é é x1"), (9, "Émile É é X1 kurz und gut"), (9, "Émile É é X1 kurz und gut"), (10, "the " * 500 + "kurz und gut"),
+        (11, "kurz und gut"), (11, "lang und gut " * 9), (11, None), (None, "kurz und gut"), (None, "ganz ohne " + " ".join(w[:13])), (None, "nichts"), (None, None),
     ]
     d, b = spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")
-    d.toPandas().to_parquet(tmp_path / "documents.parquet")
+    pq.write_table(d.toArrow(), tmp_path / "documents.parquet")
     b.toPandas().to_parquet(tmp_path / "benchmark.parquet")
     con = duckdb.connect()
     for t in ("documents", "benchmark"):
         con.sql(f"create view {t} as select * from read_parquet('{tmp_path}/{t}.parquet')")
     got = decontaminate.decontamination(spark, str(tmp_path)).toPandas()
     want = con.sql(decontaminate.SQL).df()
-    key = lambda x: sorted(map(tuple, x[sorted(x.columns)].astype(str).values.tolist()))
+    key = lambda x: sorted(map(tuple, x[sorted(x.columns)].astype({"doc_id": "Int64"}).astype(str).values.tolist()))
     assert key(got) == key(want)
     assert got.set_index("doc_id").contaminated.loc[5] and not got.set_index("doc_id").contaminated.loc[10]
+    assert got[got.doc_id == 11].contaminated.sum() == 1 and got[got.doc_id.isna()].contaminated.sum() == 2
 
 
 def test_contamination_edges(spark, edge):
