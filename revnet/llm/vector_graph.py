@@ -165,8 +165,8 @@ def near_vectors(vectors: DataFrame, cosine: float = 0.9, id_col: str = "vec_id"
     ``n_links`` counts the other rows with cosine >= ``cosine`` that the search found, each verified
     in double precision; ``component_id`` is the smallest id reachable by links; ``kept`` marks it.
     Null, empty and zero vectors and those with null or non-finite components link with nothing.
-    Equal vectors link (cosine 1). Rows with a null id are left out; repeated rows count as rows of
-    their own. An empty table gives an empty result; other columns are ignored. Vectors of different
+    Equal vectors link (cosine 1). Rows with a null id are left out; repeated rows, and different
+    vectors of one id, count as rows of their own. An empty table gives an empty result; other columns are ignored. Vectors of different
     lengths raise an error. The centres of the shards are fitted on at most ``sample_rows`` rows; all
     rows are indexed and searched. Every pair that can link meets in some shard, whatever their number.
     """
@@ -176,7 +176,7 @@ def near_vectors(vectors: DataFrame, cosine: float = 0.9, id_col: str = "vec_id"
     n = slim.count()
     shards = max(1, -(-n // shard_rows))
     picked = slim.select("id").orderBy(F.xxhash64("id"), "id").limit(sample_rows)
-    s, good = unit_rows(slim.join(F.broadcast(picked), "id", "left_semi").toArrow().to_pandas().sort_values("id")["v"].tolist() if n else [])
+    s, good = unit_rows(slim.join(F.broadcast(picked), "id", "left_semi").limit(sample_rows).toArrow().to_pandas().sort_values("id")["v"].tolist() if n else [])
     if not good.any():
         return vectors.select(id_col, F.lit(0).cast("long").alias("n_links"), F.col(id_col).cast("long").alias("component_id"), F.lit(True).alias("kept")).where(F.col(id_col).isNotNull())
     centre = spark.sparkContext.broadcast(centroids(s[good], min(shards, int(good.sum()) // 8 + 1)))
@@ -186,9 +186,12 @@ def near_vectors(vectors: DataFrame, cosine: float = 0.9, id_col: str = "vec_id"
         for b in batches:
             x, ok = unit_rows(b["v"].tolist())
             at = (x @ centre.value.T).argmax(1) if ok.any() else np.zeros(len(x), np.int64)
-            yield pd.DataFrame({"id": b["id"], "ok": ok, "c": at, "x": list(x.astype("<f8"))}).assign(x=lambda f: [r.tobytes() for r in f["x"]])
+            yield pd.DataFrame({"id": b["id"], "key": b["key"], "ok": ok, "c": at, "x": list(x.astype("<f8"))}).assign(x=lambda f: [r.tobytes() for r in f["x"]])
 
-    rows = materialize(slim.mapInPandas(normal, "id long, ok boolean, c int, x binary"), "vectors")
+    # rows get numbers that rise with their ids, so the smallest number of a component is of its smallest id, and an id's many rows are parted
+    tie = slim.withColumn("tie", F.monotonically_increasing_id())
+    numbered = tie.repartitionByRange("id", "tie").sortWithinPartitions("id", "tie").select(F.monotonically_increasing_id().alias("id"), F.col("id").alias("key"), "v")
+    rows = materialize(numbered.mapInPandas(normal, "id long, key long, ok boolean, c int, x binary"), "vectors")
     per = rows.where("ok").groupBy("c").agg(F.count(F.lit(1)).alias("n"))
     salts = {int(r.c): max(1, -(-int(r.n) // shard_rows)) for r in per.collect()}  # one entry per centre
     salt = F.create_map(*[F.lit(v) for k, w in salts.items() for v in (k, w)])
@@ -324,11 +327,13 @@ def near_vectors(vectors: DataFrame, cosine: float = 0.9, id_col: str = "vec_id"
     n_links = inside.join(all_of, "node", "left").withColumnRenamed("n", "n_all").join(counts, "id", "left").withColumnRenamed("n", "n_some")
     linked = whole.select(F.col("a").alias("u"), F.col("b").alias("v")).unionByName(found.select(F.col("node").alias("u"), F.col("other").alias("v")))
     comp = connected_components(linked)
-    out = n_links.join(comp, "node", "left").select(
-        F.col("id").alias(id_col), (F.col("own") + F.coalesce("n_all", F.lit(0)) + F.coalesce("n_some", F.lit(0))).cast("long").alias("n_links"),
-        F.coalesce("component", "node").alias("component_id"),
+    keys = rows.select("id", "key")
+    named = nodes.select("node").join(comp, "node", "left").select("node", F.coalesce("component", "node").alias("first"))
+    named = named.join(keys.select(F.col("id").alias("first"), F.col("key").alias("component_id")), "first").drop("first")  # one row per node; a large component's are split by AQE
+    out = n_links.join(named, "node").join(keys, "id").select(
+        F.col("key").alias(id_col), (F.col("own") + F.coalesce("n_all", F.lit(0)) + F.coalesce("n_some", F.lit(0))).cast("long").alias("n_links"), "component_id",
     )
-    bad = rows.where("not ok").select(F.col("id").alias(id_col), F.lit(0).cast("long").alias("n_links"), F.col("id").alias("component_id"))
+    bad = rows.where("not ok").select(F.col("key").alias(id_col), F.lit(0).cast("long").alias("n_links"), F.col("key").alias("component_id"))
     return out.unionByName(bad).withColumn("kept", F.col(id_col) == F.col("component_id"))
 
 

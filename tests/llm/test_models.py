@@ -213,6 +213,22 @@ def test_vectors_equal_brute_force(spark):
     assert vector_graph.near_vectors(df.limit(0)).count() == 0
 
 
+def test_vectors_of_one_id(spark):
+    """Rows that share an id keep links of their own; a component has the smallest id of its rows."""
+    r = np.random.default_rng(8)
+    x = r.normal(size=(40, 16))
+    x[21] = x[4] + r.normal(0, 0.02, 16)
+    x[33] = x[21]
+    x[39] = x[38]
+    ids = [i if i < 20 else 39 - i if i < 38 else 50 for i in range(40)]  # 20..37 repeat 19..2 with other vectors; 38 and 39 are one row twice
+    df = spark.createDataFrame([(i, v.tolist(), "x", 1) for i, v in zip(ids, x, strict=True)], "vec_id long, embedding array<double>, node string, id int")
+    u = x / np.linalg.norm(x, axis=1)[:, None]
+    hit = u @ u.T >= 0.9
+    assert hit[4].sum() == 3 and hit.sum() == 40 + 6 + 2
+    want = sorted((k, int(h.sum()) - 1, min(ids[j] for j in np.flatnonzero(h))) for k, h in zip(ids, hit, strict=True))
+    assert sorted((r.vec_id, r.n_links, r.component_id) for r in vector_graph.near_vectors(df).collect()) == want
+
+
 def test_pipeline(spark):
     import corpus_pipeline as p
 
