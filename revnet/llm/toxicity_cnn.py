@@ -7,6 +7,7 @@ logistic output, and Platt scaling makes it a probability. Thresholds are calibr
 
 from __future__ import annotations
 
+import itertools
 import re
 import zlib
 
@@ -71,24 +72,31 @@ class Cnn:
         known = self.known
         idx = list(map(known.get, tokens))
         if None in idx:
-            get = self.rows.get
+            first, cells, many = len(known), [], []
             for t, i in enumerate(idx):
                 if i is None:
                     w = tokens[t]
                     i = known.get(w)
                     if i is None:
                         i = known[w] = len(known)
-                        if i >= len(self.vectors):
-                            self.vectors = np.concatenate([self.vectors, np.zeros_like(self.vectors)])
-                        cells = buckets(w)
-                        own = [c for c in map(get, cells) if c is not None]
-                        self.vectors[i] = self.table[own].sum(0) / len(cells) if own else 0
+                        own = buckets(w)
+                        cells += own
+                        many.append(len(own))
                     idx[t] = i
+            self._add(first, cells, many)
         x = np.zeros((len(idx) + 2 * PAD, self.table.shape[1]), np.float32)
         if idx:
             x[PAD:-PAD] = self.vectors[idx]
         return x
 
+    def _add(self, first: int, cells: list[int], many: list[int]) -> None:
+        """Vectors of new words, numbered from ``first``, from the cells of all of them and the number that each has."""
+        while first + len(many) > len(self.vectors):
+            self.vectors = np.concatenate([self.vectors, np.zeros_like(self.vectors)])
+        rows = np.fromiter(map(self.rows.get, cells, itertools.repeat(-1)), np.int64, len(cells))  # the last row is zero
+        n = np.array(many)
+        self.vectors[first : first + len(n)] = np.add.reduceat(self.table[rows], np.cumsum(n) - n) / n[:, None].astype(np.float32)
+
     def pooled(self, x: np.ndarray) -> tuple[np.ndarray, list[np.ndarray]]:
         """Largest filter values and, by width, their places."""
         best, place = [], []
