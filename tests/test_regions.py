@@ -40,3 +40,17 @@ def test_regions_of_tiles_equal_those_of_labels(spark, monkeypatch):
     monkeypatch.setattr(halo, "REGION_LIMIT", 1)
     monkeypatch.setattr(halo.TiledNetwork, "first_halo", lambda self, k: 1500)
     assert same_answers(regions.tile_regions(halo.tile_network(s.net, s.facilities, 16), s.sites, 4), want)
+
+
+def test_auto_plan_needs_no_tree_where_the_expansion_has_all_lists(spark, monkeypatch):
+    from revnet.operators import batch
+    from revnet.plans.options import RknnOptions
+    from revnet.sources import tables as T
+
+    s = Setting(spark, "/root/testdata/sf0.001")
+    few = stored(T.spread_batch(spark, s.sf_dir, s.n, 3), "few")
+    want = stored(s.batch(RknnOptions(plan="flood", k=2), few), "want")
+    monkeypatch.setattr(batch, "build_count_tree", lambda *a: pytest.fail("a tree was built"))
+    run = s.run(RknnOptions(plan="auto", k=2), few)
+    assert run.plan == "expand" and not want.isEmpty() and same_answers(run.result, want)
+    assert run.cache.filled == 0
